@@ -9,7 +9,7 @@
    aggregation leaves one row per task for a text however often it is repeated, so a hot group stays small.
 
 Of equal texts the row with the largest doc_id stays.  A null text counts as empty, and empty texts are equal.
-Repeated rows (equal doc_id and text) count in ``group_size``; further columns pass through ``drop_copies``.
+A null doc_id counts as smaller than any other.  Repeated rows (equal doc_id and text) count in ``group_size``; further columns pass through ``drop_copies``.
 """
 
 from __future__ import annotations
@@ -18,6 +18,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -77,9 +78,9 @@ def suspects(hashed: DataFrame, owners: int) -> DataFrame:
         bits = [np.packbits(np.isin(x, shared, assume_unique=True)).tobytes() for x in lists]
         return pd.DataFrame({"source": rows["source"], "owner": rows["owner"], "bits": bits})
 
-    def mark(rows: pd.DataFrame, answers: pd.DataFrame) -> pd.DataFrame:
+    def mark(rows: pa.Table, answers: pa.Table) -> pa.Table:
         prints = _prints(rows["fingerprint"])
-        flags = dict(zip(answers["owner"], answers["bits"]))
+        flags = dict(zip(answers["owner"].to_pylist(), answers["bits"].to_pylist()))
         values, inverse, counts = np.unique(prints, return_inverse=True, return_counts=True)
         marked = counts > 1
         begin = 0
@@ -87,12 +88,12 @@ def suspects(hashed: DataFrame, owners: int) -> DataFrame:
             bits = np.unpackbits(np.frombuffer(flags[owner], np.uint8))[: len(part)]
             marked[begin : begin + len(part)] |= bits.astype(bool)
             begin += len(part)
-        return pd.DataFrame({"doc_id": rows["doc_id"][marked[inverse]]})
+        return rows.select(["doc_id"]).filter(pa.array(marked[inverse]))
 
     id_type = hashed.schema["doc_id"].dataType.simpleString()
     sent = hashed.groupBy("source").applyInPandas(send, "source int, owner int, k int, n int, code binary")
     answers = sent.groupBy("owner").applyInPandas(answer, "source int, owner int, bits binary")
-    return hashed.groupBy("source").cogroup(answers.groupBy("source")).applyInPandas(mark, f"doc_id {id_type}").distinct()
+    return hashed.groupBy("source").cogroup(answers.groupBy("source")).applyInArrow(mark, f"doc_id {id_type}").distinct()
 
 
 def groups(docs: DataFrame) -> DataFrame:
@@ -110,7 +111,7 @@ def groups(docs: DataFrame) -> DataFrame:
     )
     suspect = suspects(hashed.select("source", "doc_id", "fingerprint"), shuffle_partitions(spark))
     verified = (
-        rows.join(suspect, "doc_id", "left_semi")
+        rows.join(suspect.withColumnRenamed("doc_id", "_suspect"), F.col("doc_id").eqNullSafe(F.col("_suspect")), "left_semi")
         .groupBy(digest.alias("text_sha256"), "text")
         .agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
         .where("group_size > 1")
@@ -120,18 +121,18 @@ def groups(docs: DataFrame) -> DataFrame:
         hashed.join(verified, "text_sha256", "left")
         .select(
             "doc_id",
-            F.coalesce("keep_id", "doc_id").alias("keep_id"),
+            F.when(F.col("group_size").isNull(), F.col("doc_id")).otherwise(F.col("keep_id")).alias("keep_id"),
             F.coalesce("group_size", F.lit(1).cast("long")).alias("group_size"),
             "text_sha256",
         )
-        .select("doc_id", "keep_id", "group_size", (F.col("doc_id") == F.col("keep_id")).alias("kept"), "text_sha256")
+        .select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256")
     )
 
 
 def drop_copies(docs: DataFrame) -> DataFrame:
     """The documents that stay, with their own columns.  Rows that share doc_id and text stay or go together."""
     keep = groups(docs).where("kept").select(F.col("doc_id").alias("_kept_id")).distinct()
-    return docs.join(keep, F.col("doc_id") == F.col("_kept_id"), "left_semi")
+    return docs.join(keep, docs["doc_id"].eqNullSafe(keep["_kept_id"]), "left_semi")
 
 
 def op4_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

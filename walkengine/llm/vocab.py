@@ -1,16 +1,19 @@
-"""Fast whole-text encoding by a byte-level or word-end BPE of the ``tokenizers`` library.
+"""Fast whole-text encoding by BPE vocabularies that split a text at white space before any merge.
 
-Both vocabularies split a text at white space before any merge, so a text without irregular white space is the
-sequence of its pieces between single spaces, and each piece can be encoded alone.  A batch of texts is split and
-dictionary-encoded by Arrow; only pieces that the worker has not met go to the library, and the ids of all texts
-are then gathered with numpy.  Texts with irregular white space (two white-space characters in a row of which one
-is a space, or separators on which libraries disagree) are encoded whole by the library.
+A text without irregular white space is the sequence of its pieces between single spaces, and each piece can be
+encoded alone.  A batch of texts is split and dictionary-encoded by Arrow; only pieces that the worker has not met
+are encoded, and the ids of all texts are then gathered with numpy.  Texts with irregular white space (two
+white-space characters in a row of which one is a space, or separators on which libraries disagree) are encoded
+whole.
 """
 
 from __future__ import annotations
 
 import os
+import sys
+import types
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -20,11 +23,19 @@ import pyarrow.compute as pc
 _SPACE = r"[\t-\r \x{85}\x{A0}\x{1680}\x{2000}-\x{200A}\x{2028}\x{2029}\x{202F}\x{205F}\x{3000}]"
 IRREGULAR = rf" {_SPACE}|{_SPACE} |[\x{{1c}}-\x{{1f}}\x{{85}}\x{{180e}}\x{{200b}}\x{{feff}}]"
 #: Pieces that a worker keeps; beyond it the cache starts anew (a matter of memory, not of results).
-CACHE_PIECES = 600_000
+CACHE_PIECES = 1_000_000
 #: Bytes of text that are split at once.
 SLICE_BYTES = 8 << 20
 
 
+def worker_state(key: tuple, make):
+    """A value that tasks of one Python worker share (functions travel by value, so module globals are not shared)."""
+    held = sys.modules.setdefault("_walkengine_worker_state", types.ModuleType("_walkengine_worker_state")).__dict__
+    if key not in held:
+        held[key] = make()
+    return held[key]
+
+
 def load_tokenizer(path: str):
     """The tokenizer in the file, with the strings of special tokens taken as ordinary text."""
     os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
@@ -50,11 +61,24 @@ def byte_slices(texts: pa.Array, limit: int = SLICE_BYTES) -> Iterator[tuple[int
         begin = end
 
 
+class LibraryCodec:
+    """Encodes pieces and whole texts with the ``tokenizers`` library."""
+
+    def __init__(self, path: str):
+        self.tokenizer = load_tokenizer(path)
+
+    def pieces(self, pieces: list[str]) -> list[list[int]]:
+        return [e.ids for e in self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False)]
+
+    def whole(self, text: str) -> list[int]:
+        return self.tokenizer.encode(text, add_special_tokens=False).ids
+
+
 class PieceEncoder:
     """Ids of whole texts.  ``spaced``: whether a piece after a space is encoded with that space (byte-level BPE)."""
 
-    def __init__(self, path: str, spaced: bool):
-        self.tokenizer, self.spaced = load_tokenizer(path), spaced
+    def __init__(self, codec, spaced: bool):
+        self.codec, self.spaced = codec, spaced
         self._reset()
 
     def _reset(self) -> None:
@@ -65,10 +89,9 @@ class PieceEncoder:
         self.used = 0
 
     def _learn(self, pieces: list[str]) -> None:
-        found = self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False) if pieces else []
-        ids = [e.ids for e in found]
+        ids = self.codec.pieces(pieces)
         sizes = np.fromiter(map(len, ids), np.int64, len(ids))
-        flat = np.fromiter((x for y in ids for x in y), np.uint32, int(sizes.sum()))
+        flat = np.fromiter(chain.from_iterable(ids), np.uint32, int(sizes.sum()))
         n = len(self.number)
         while self.used + len(flat) > len(self.ids):
             self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
@@ -82,12 +105,14 @@ class PieceEncoder:
 
     def _numbers(self, pieces: list[str]) -> np.ndarray:
         known = self.number
-        fresh = list(dict.fromkeys(p for p in pieces if p not in known))
-        if fresh:
-            self._learn(fresh)
-        return np.fromiter(map(known.__getitem__, pieces), np.int64, len(pieces))
-
-    def _regular(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        found = list(map(known.get, pieces))
+        if None in found:
+            self._learn(list(dict.fromkeys([p for p, x in zip(pieces, found) if x is None])))
+            found = list(map(known.__getitem__, pieces))
+        return np.array(found, np.int64)
+
+    def piece_numbers(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """(numbers of pieces in this encoder, bounds by text) of texts with regular white space."""
         if len(self.number) > CACHE_PIECES:
             self._reset()
         lists = pc.split_pattern(texts, " ")
@@ -100,25 +125,34 @@ class PieceEncoder:
         if self.spaced:  # the first piece of a text has no space before it
             words = coded.dictionary.take(coded.indices.take(pa.array(bounds[:-1]))).to_pylist()
             number[bounds[:-1]] = self._numbers(words)
+        return number, bounds
+
+    def gather(self, number: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, bounds by text) of pieces."""
         sizes = self.count[number]
         ends = np.cumsum(sizes)
         place = np.repeat(self.first[number] - (ends - sizes), sizes) + np.arange(ends[-1] if len(ends) else 0)
         return self.ids[place], np.concatenate([[0], ends])[bounds]
 
-    def encode(self, texts: pa.Array) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-        """(row, ids, bounds) of runs of rows: row + i has ids[bounds[i]:bounds[i + 1]].  Null counts as empty."""
-        texts = pc.fill_null(texts.cast(pa.large_string()), "")
-        for begin, part in byte_slices(texts):
+    def runs(self, texts: pa.Array) -> Iterator[tuple[int, pa.Array, bool]]:
+        """(row, texts, whether their white space is regular).  Null counts as empty."""
+        for begin, part in byte_slices(pc.fill_null(texts.cast(pa.large_string()), "")):
             irregular = np.asarray(pc.match_substring_regex(part, IRREGULAR))
-            if not irregular.any():
-                yield begin, *self._regular(part)
-                continue
             edges = np.flatnonzero(np.diff(irregular.astype(np.int8))) + 1
             for a, b in zip([0, *edges], [*edges, len(part)]):
-                run = part.slice(a, b - a)
-                if irregular[a]:
-                    for i, text in enumerate(run.to_pylist()):
-                        ids = np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, np.uint32)
-                        yield begin + a + i, ids, np.array([0, len(ids)])
-                else:
-                    yield begin + a, *self._regular(run)
+                yield begin + int(a), part.slice(a, b - a), not irregular[a]
+
+    def encode(self, texts: pa.Array) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+        """(row, ids, bounds) of runs of rows: row + i has ids[bounds[i]:bounds[i + 1]]."""
+        for row, part, regular in self.runs(texts):
+            if regular:
+                yield row, *self.gather(*self.piece_numbers(part))
+                continue
+            for i, text in enumerate(part.to_pylist()):
+                ids = np.array(self.codec.whole(text), np.uint32)
+                yield row + i, ids, np.array([0, len(ids)])
+
+
+def library_encoder(path: str, spaced: bool) -> PieceEncoder:
+    """The worker's encoder for a vocabulary file of the ``tokenizers`` library."""
+    return worker_state(("library", path, spaced), lambda: PieceEncoder(LibraryCodec(path), spaced))
