@@ -44,59 +44,87 @@ RULES = (
     Rule("bullets", "bullet_line_ratio", None, 0.9),
     Rule("ellipses", "ellipsis_line_ratio", None, 0.3),
     Rule("shouting", "upper_word_ratio", None, 0.5),
-    Rule("letters", "alpha_word_ratio", 0.6, None),
 )
 
 
-def _repeat_words(words: Column) -> Column:
-    """Words that lie in a window of three words which the text holds more than once."""
+#: Low bits of a sort key that hold a window's place; the other bits hold the begin of its hash.
+_PLACE = 24
 
-    def of_windows(ordered: Column) -> Column:
-        # equal windows are neighbours after the sort; a window repeats if it equals either neighbour
-        same = lambda j, k: ordered[j]["w"] == ordered[k]["w"]
+
+def _covered(starts: Column) -> Column:
+    """Words in windows of three at ``starts`` (ascending)."""
+    begin = F.struct(F.lit(0).cast("long").alias("n"), F.lit(-3).cast("long").alias("at"))
+    add = lambda acc, s: F.struct((acc["n"] + F.least(F.lit(3), s - acc["at"])).alias("n"), s.alias("at"))
+    return F.aggregate(starts, begin, add, lambda acc: acc["n"])
+
+
+def _exact_starts(words: Column) -> Column:
+    """Places of repeated windows by a sort of the windows themselves."""
+
+    def of(ordered: Column) -> Column:
         last = F.size(ordered) - 1
-        repeated = F.filter(
-            F.sequence(F.lit(0), last),
-            lambda j: F.when(j > 0, same(j, j - 1)).otherwise(False) | F.when(j < last, same(j, j + 1)).otherwise(False),
-        )
-        starts = F.array_sort(F.transform(repeated, lambda j: ordered[j]["i"]))
-        begin = F.struct(F.lit(0).cast("long").alias("n"), F.lit(-3).alias("at"))
-        return F.aggregate(
-            starts,
-            begin,
-            lambda acc, s: F.struct((acc["n"] + F.least(F.lit(3), s - acc["at"])).alias("n"), s.alias("at")),
-            lambda acc: acc["n"],
-        )
-
-    windows = lambda w: F.transform(
-        F.sequence(F.lit(1), F.size(w) - 2),
-        lambda i: F.struct(F.concat_ws(" ", w[i - 1], w[i], w[i + 1]).alias("w"), i.alias("i")),
+        same = lambda j, k: ordered[j]["w"] == ordered[k]["w"]
+        near = lambda j: (F.when(j > 0, same(j, j - 1)).otherwise(False)) | F.when(j < last, same(j, j + 1)).otherwise(False)
+        repeated = F.filter(F.sequence(F.lit(0), last), near)
+        return F.array_sort(F.transform(repeated, lambda j: ordered[j]["i"]))
+
+    window = lambda i: F.struct(F.concat_ws(" ", words[i], words[i + 1], words[i + 2]).alias("w"), i.cast("long").alias("i"))
+    return let(F.array_sort(F.transform(F.sequence(F.lit(0), F.size(words) - 3), window)), of)
+
+
+def measured(docs: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, ``keep`` and the counts of every whole text.
+
+    Each step is a projection whose columns the next one uses several times, so Spark computes them once.  Windows are
+    compared by one primitive sort of (40 bits of the hash, place); a text in which two windows share these bits but
+    not the whole hash is sorted window by window instead.
+    """
+    none = F.array().cast("array<long>")
+    place = (1 << _PLACE) - 1
+    rows = only(docs, "doc_id", "text").select("doc_id", whole_text().alias("text")) if not keep else docs
+    rows = rows.select(
+        "doc_id", *keep, "text", words_of(F.col("text")).alias("words"),
+        F.filter(F.split("text", "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]")).alias("lines"),
+    )
+    word = F.col("words")
+    windows = F.transform(F.sequence(F.lit(0), F.size("words") - 3), lambda i: F.xxhash64(word[i], word[i + 1], word[i + 2]))
+    rows = rows.select("*", F.when(F.size("words") >= 3, windows).otherwise(none).alias("hashes"))
+    key = lambda h, i: h.bitwiseAND(F.lit(~place)).bitwiseOR(i.cast("long"))
+    rows = rows.select("*", F.sort_array(F.transform("hashes", key)).alias("keys"))
+    keys, hashes = F.col("keys"), F.col("hashes")
+    begin = lambda k: F.shiftright(k, _PLACE)
+    at = lambda k: k.bitwiseAND(F.lit(place)).cast("int")
+    before = lambda k, j: F.when(j > 0, begin(keys[j - 1]) == begin(k)).otherwise(False)
+    after = lambda k, j: F.when(j < F.size(keys) - 1, begin(keys[j + 1]) == begin(k)).otherwise(False)
+    rows = rows.select("*", F.filter(keys, lambda k, j: before(k, j) | after(k, j)).alias("repeats"))
+    repeats = F.col("repeats")
+    mixed = lambda k, j: F.when(
+        (j > 0) & (begin(repeats[F.greatest(j - 1, F.lit(0))]) == begin(k)),
+        hashes[at(k)] != hashes[at(repeats[F.greatest(j - 1, F.lit(0))])],
+    ).otherwise(False)
+    rows = rows.select("*", (F.size(F.filter(repeats, mixed)) > 0).alias("mixed"))
+    starts = F.when(F.col("mixed") | (F.size("words") > place), _exact_starts(word)).otherwise(
+        F.sort_array(F.transform(repeats, lambda k: k.bitwiseAND(F.lit(place))))
     )
-    return let(
-        words,
-        lambda w: F.when(F.size(w) < 3, F.lit(0).cast("long")).otherwise(let(F.array_sort(windows(w)), of_windows)),
+    gone = lambda chars: F.length("text") - F.length(F.translate("text", chars, ""))
+    return rows.select(
+        "doc_id",
+        *keep,
+        "text",
+        "words",
+        F.size("words").cast("long").alias("n_words"),
+        F.length(F.array_join("words", "")).cast("long").alias("word_chars"),
+        gone(SYMBOLS).cast("long").alias("n_symbols"),
+        F.size("lines").cast("long").alias("n_lines"),
+        (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines"),
+        F.when(F.size("repeats") > 0, _covered(starts)).otherwise(F.lit(0).cast("long")).alias("n_repeat_words"),
+        F.size(F.filter("words", lambda w: w.isin(STOP_WORDS))).alias("n_stop_words"),
+        F.size(F.filter("words", lambda w: (F.upper(w) == w) & (F.lower(w) != w))).alias("n_upper_words"),
+        F.size(F.filter("lines", lambda x: x.rlike(r"^\s*[-*•]"))).alias("n_bullet_lines"),
+        F.size(F.filter("lines", lambda x: x.rlike(r"(\.\.\.|…)\s*$"))).alias("n_ellipsis_lines"),
     )
 
 
-def metrics(text: Column) -> dict[str, Column]:
-    """Counts of a text as expressions; ``words`` and ``lines`` are bound once where they are used inside lambdas."""
-    clean, words = F.translate(text, BLANKS, ""), words_of(text)
-    lines = F.filter(F.split(text, "\n"), lambda x: F.translate(x, BLANKS, "") != "")
-    return {
-        "n_words": F.size(words).cast("long"),
-        "word_chars": F.length(clean).cast("long"),
-        "n_symbols": (F.length(text) - F.length(F.translate(text, SYMBOLS, ""))).cast("long"),
-        "n_lines": F.size(lines).cast("long"),
-        "n_dup_lines": let(lines, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long"),
-        "n_repeat_words": _repeat_words(words),
-        "n_stop_words": F.size(F.filter(words, lambda w: F.lower(F.translate(w, ".,;:!?", "")).isin(STOP_WORDS))),
-        "n_upper_words": F.size(F.filter(words, lambda w: (F.upper(w) == w) & (F.lower(w) != w))),
-        "n_alpha_words": F.size(F.filter(words, lambda w: w.rlike(r"\p{L}"))),
-        "n_bullet_lines": F.size(F.filter(lines, lambda x: x.rlike(r"^\s*[-*•]"))),
-        "n_ellipsis_lines": F.size(F.filter(lines, lambda x: x.rlike(r"(\.\.\.|…)\s*$"))),
-    }
-
-
 def ratios() -> dict[str, Column]:
     over = lambda a, b: F.when(F.col(b) > 0, F.col(a) / F.col(b)).otherwise(0.0)
     return {
@@ -104,7 +132,6 @@ def ratios() -> dict[str, Column]:
         "symbols_per_word": over("n_symbols", "n_words"),
         "stop_word_ratio": over("n_stop_words", "n_words"),
         "upper_word_ratio": over("n_upper_words", "n_words"),
-        "alpha_word_ratio": over("n_alpha_words", "n_words"),
         "dup_line_ratio": over("n_dup_lines", "n_lines"),
         "bullet_line_ratio": over("n_bullet_lines", "n_lines"),
         "ellipsis_line_ratio": over("n_ellipsis_lines", "n_lines"),
@@ -123,29 +150,25 @@ def compile_rules(rules: tuple[Rule, ...]) -> tuple[Column, Column]:
     return reduce(lambda a, b: a | b, tests.values(), no), names
 
 
-def judge(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
-    """One row per document: counts, ratios, base_failed, failed rules and the verdict ``kept``."""
-    counts = metrics(whole_text())
+def _judged(rows: DataFrame, rules: tuple[Rule, ...], *columns: str) -> DataFrame:
     fails, names = compile_rules(rules)
     base = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    return (
-        only(docs, "doc_id", "text")
-        .select("doc_id", *(c.alias(n) for n, c in counts.items()))
-        .select("*", *(c.alias(n) for n, c in ratios().items()))
-        .select("*", base.alias("base_failed"), names.alias("failed_rules"), (~base & ~fails).alias("kept"))
+    return rows.select("*", *(c.alias(n) for n, c in ratios().items())).select(
+        *columns, base.alias("base_failed"), names.alias("failed_rules"), (~base & ~fails).alias("kept")
     )
 
 
+def judge(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
+    """One row per document: counts, ratios, base_failed, failed rules and the verdict ``kept``."""
+    return _judged(measured(docs).drop("text", "words"), rules, "*")
+
+
 def filter_documents(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
-    """The documents that pass, with their own columns; no shuffle, as the verdict is computed in the scan."""
-    counts, (fails, _) = metrics(whole_text()), compile_rules(rules)
-    base = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    bound = docs.select(F.struct("*").alias("_row"), *(c.alias(n) for n, c in counts.items()))
-    return (
-        bound.select("*", *(c.alias(n) for n, c in ratios().items()))
-        .where(~base & ~fails)
-        .select("_row.*")
-    )
+    """The documents that pass, with their own columns; no shuffle, as the verdict is computed in the scan.  The rows
+    leave by a generator, since a filter would be pushed below the projections and compute them again."""
+    bound = docs.select(F.col("doc_id"), whole_text().alias("text"), F.struct("*").alias("_row"))
+    judged = _judged(measured(bound, ("_row",)), rules, "_row")
+    return judged.select(F.inline(F.when(F.col("kept"), F.array("_row"))))
 
 
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -161,7 +184,7 @@ def _sql() -> str:
     of = {
         "mean_word_chars": ratio("word_chars", "n_words"), "symbols_per_word": ratio("n_symbols", "n_words"),
         "stop_word_ratio": ratio("n_stop", "n_words"), "upper_word_ratio": ratio("n_upper", "n_words"),
-        "alpha_word_ratio": ratio("n_alpha", "n_words"), "dup_line_ratio": ratio("n_dup_lines", "n_lines"),
+        "dup_line_ratio": ratio("n_dup_lines", "n_lines"),
         "bullet_line_ratio": ratio("n_bullet", "n_lines"), "ellipsis_line_ratio": ratio("n_ellipsis", "n_lines"),
     }
     test = lambda r: " OR ".join(
@@ -187,9 +210,8 @@ counts AS (
          (length(t) - length(translate(t, '{SYMBOLS}', '')))::BIGINT AS n_symbols,
          len(lines)::BIGINT AS n_lines, (len(lines) - len(list_distinct(lines)))::BIGINT AS n_dup_lines,
          coalesce(covered.n, 0)::BIGINT AS n_repeat_words,
-         len(list_filter(words, lambda w: lower(translate(w, '.,;:!?', '')) IN ({stop}))) AS n_stop,
+         len(list_filter(words, lambda w: w IN ({stop}))) AS n_stop,
          len(list_filter(words, lambda w: upper(w) = w AND lower(w) <> w)) AS n_upper,
-         len(list_filter(words, lambda w: regexp_matches(w, '\\p{{L}}'))) AS n_alpha,
          len(list_filter(lines, lambda x: regexp_matches(x, '^\\s*[-*•]'))) AS n_bullet,
          len(list_filter(lines, lambda x: regexp_matches(x, '(\\.\\.\\.|…)\\s*$'))) AS n_ellipsis
   FROM base LEFT JOIN covered USING (doc_id)),
