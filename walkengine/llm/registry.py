@@ -6,7 +6,7 @@ from importlib import import_module
 
 #: Operators in the order of their numbers.
 MODULES = (
-    "quality_classifier quality_rules exact_dedup bpe_codec license_scan html_extract token_output packing"
+    "quality_classifier minhash_forest quality_rules exact_dedup bpe_codec license_scan html_extract token_output packing"
 ).split()
 
 
