@@ -6,7 +6,8 @@ from importlib import import_module
 
 #: Operators in the order of their numbers.
 MODULES = (
-    "quality_classifier minhash_forest quality_rules exact_dedup bpe_codec license_scan html_extract token_output packing"
+    "quality_classifier minhash_forest quality_rules exact_dedup bpe_codec license_scan html_extract token_output "
+    "suffix_dedup packing"
 ).split()
 
 
