@@ -136,14 +136,30 @@ def candidates(reps: DataFrame) -> DataFrame:
     permuted = orders()
     spark = reps.sparkSession
 
+    def crown(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                values = np.frombuffer(b"".join(batch["sig"].to_pylist()), ">u2").reshape(-1, VALUES).astype(np.int64)
+                for k, p in enumerate(permuted):
+                    prefix = sum(values[:, p[j]] << (16 * (PREFIX - 1 - j)) for j in range(PREFIX)) | (k << 16 * PREFIX)
+                    yield pa.RecordBatch.from_arrays([pa.array(prefix), batch["doc_id"]], names=["crown", "doc_id"])
+
+    # a document that shares its least prefix with no other in an order has no neighbour there, and stays out of it
+    crowns = reps.mapInArrow(crown, "crown long, doc_id long")
+    shared = crowns.groupBy("crown").count().where("count > 1").select("crown")
+    trees = crowns.join(shared, "crown", "left_semi").groupBy("doc_id").agg(F.collect_set(F.shiftright("crown", 16 * PREFIX).cast("int")).alias("trees"))
+    reps = reps.join(trees, "doc_id")
+
     def plant(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
                 values = np.frombuffer(b"".join(batch["sig"].to_pylist()), ">u2").reshape(-1, VALUES)
+                rows = np.repeat(np.arange(len(values)), np.asarray(pc.list_value_length(batch["trees"])))
+                number = np.asarray(batch["trees"].flatten())
                 for k, p in enumerate(permuted):
-                    keys = pa.array([r.tobytes() for r in np.ascontiguousarray(values[:, p])], pa.binary())
-                    number = pa.array(np.full(len(values), k, np.int32))
-                    yield pa.RecordBatch.from_arrays([number, keys, batch["doc_id"]], names=["tree", "key", "doc_id"])
+                    own = rows[number == k]
+                    keys = pa.array([r.tobytes() for r in np.ascontiguousarray(values[own][:, p])], pa.binary())
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(own), k, np.int32)), keys, batch["doc_id"].take(pa.array(own))], names=["tree", "key", "doc_id"])
 
     def matrix(keys: list[bytes]) -> np.ndarray:
         return np.frombuffer(b"".join(keys), ">u2").reshape(-1, VALUES)
@@ -192,7 +208,7 @@ def candidates(reps: DataFrame) -> DataFrame:
         a, b = zip(*pairs) if pairs else ((), ())
         return pa.table([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(pairs.values(), pa.int32())], names=["a", "b", "same"])
 
-    planted = reps.mapInArrow(plant, "tree int, key binary, doc_id long")
+    planted = staged(reps.mapInArrow(plant, "tree int, key binary, doc_id long"), "planted")
     sorted_rows = planted.repartitionByRange(shuffle_partitions(spark) * 2, "tree", "key", "doc_id").sortWithinPartitions("tree", "key", "doc_id")
     walked = staged(sorted_rows.mapInArrow(walk, "a long, b long, same int, border int, tree int, key binary"), "forest")
     across = walked.where("border IS NOT NULL").groupBy("border").applyInArrow(meet, "a long, b long, same int")
@@ -224,7 +240,7 @@ def links(reps: DataFrame, docs: DataFrame) -> DataFrame:
     """Confirmed links (a, b) that connect all that candidates connect; ``reps``: doc_id, sig."""
     pairs = staged(candidates(reps), "candidates")
     ends = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    texts = staged(only(docs, "doc_id", "text").join(ends, "doc_id", "left_semi").dropDuplicates(["doc_id"]), "candidate-texts")
+    texts = staged(only(docs, "doc_id", "text").join(ends.hint("merge"), "doc_id", "left_semi").dropDuplicates(["doc_id"]), "candidate-texts")
     sided = pairs.select("a", "b", "same").union(pairs.select("b", "a", "same"))
     best = sided.groupBy("a").agg(F.max(F.struct("same", (-F.col("b")).alias("b"))).alias("x")).select("a", (-F.col("x.b")).alias("b"))
     best = best.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
