@@ -158,9 +158,10 @@ def recursive_sql(g: LabeledGraph, nfa: Nfa, source, target, longest: int) -> Da
     spark.createDataFrame([(p, bit[a], q) for p, a, q in nfa.moves], "p int, bit long, q int").createOrReplaceTempView("_walk_moves")
     starts = " UNION ALL ".join(f"SELECT {q} AS state" for q in sorted(nfa.initial))
     lit = lambda v: f"'{v}'" if isinstance(v, str) else str(v)
+    kind = dict(g.edges.dtypes)["src"]
     return spark.sql(f"""
         WITH RECURSIVE found(vertex, state, length, edge_path) AS (
-          SELECT {lit(source)}, state, 0, CAST('' AS STRING) FROM ({starts})
+          SELECT CAST({lit(source)} AS {kind}), state, 0, CAST('' AS STRING) FROM ({starts})
           UNION ALL
           SELECT e.dst, m.q, f.length + 1, CASE WHEN f.length = 0 THEN CAST(e.edge_id AS STRING) ELSE concat(f.edge_path, '>', e.edge_id) END
           FROM found f JOIN _walk_edges e ON e.src = f.vertex JOIN _walk_moves m ON m.p = f.state AND (e.lab & m.bit) <> 0

@@ -159,20 +159,20 @@ def zero_length_walk(spark, sf_dir):
     return minimal_walks(views.basket(spark, sf_dir), "(h|s)*", 10, 10)
 
 
-@query("geo_walks", walks("geo", compile_pattern("in in has has"), "S:1", "N:3", 6).replace("'N:3'", "'C:5'"))
+@query("geo_walks", walks("geo", compile_pattern("in in has has"), "S:1", "N:3", 6).replace("'N:3'", "'C:3'"))
 def geo_walks(spark, sf_dir):
-    return minimal_walks(views.geo(spark, sf_dir), "in in has has", "S:1", "C:5").select("length", "edge_path")
+    return minimal_walks(views.geo(spark, sf_dir), "in in has has", "S:1", "C:3").select("length", "edge_path")
 
 
 @query("basket_levels", f"""{search('basket', P2, FROM)}, stop AS (SELECT min(lv) AS l FROM firsts WHERE v = {TO} AND q = 1)
-    SELECT v AS vertex, q AS state, lv::INT AS level FROM firsts, stop WHERE lv <= l""")
+    SELECT v AS vertex, q AS state, lv::INT AS level FROM firsts, stop WHERE lv <= stop.l""")
 def basket_levels(spark, sf_dir):
     return _states(_run(spark, sf_dir)[0].reach, "mask", P2.n).select("vertex", "state", "level")
 
 
 @query("basket_links", f"""{search('basket', P2, FROM)}, stop AS (SELECT min(lv) AS l FROM firsts WHERE v = {TO} AND q = 1)
     SELECT DISTINCT b.lv::INT AS level, e.dst AS vertex, b.q AS state, e.edge_id FROM firsts a JOIN e ON e.src = a.v JOIN d ON d.p = a.q AND list_contains(e.labels, d.l)
-    JOIN firsts b ON b.v = e.dst AND b.q = d.q AND b.lv = a.lv + 1, stop WHERE b.lv <= l""")
+    JOIN firsts b ON b.v = e.dst AND b.q = d.q AND b.lv = a.lv + 1, stop WHERE b.lv <= stop.l""")
 def basket_links(spark, sf_dir):
     return _states(_run(spark, sf_dir)[1], "dst_mask", P2.n).select("level", F.col("dst").alias("vertex"), "state", "edge_id")
 
@@ -313,7 +313,7 @@ def walk_deltas(spark, sf_dir):
 
 @query("resumable_links", f"""{search('basket', P2, FROM)}, stop AS (SELECT min(lv) AS l FROM firsts WHERE v = {TO} AND q = 1),
     x AS (SELECT DISTINCT b.lv::INT AS level, e.dst AS dst, b.q AS state, e.edge_id FROM firsts a JOIN e ON e.src = a.v JOIN d ON d.p = a.q AND list_contains(e.labels, d.l)
-    JOIN firsts b ON b.v = e.dst AND b.q = d.q AND b.lv = a.lv + 1, stop WHERE b.lv <= l)
+    JOIN firsts b ON b.v = e.dst AND b.q = d.q AND b.lv = a.lv + 1, stop WHERE b.lv <= stop.l)
     SELECT level, dst, state, edge_id, lead(edge_id) OVER (PARTITION BY level, dst, state ORDER BY edge_id) AS next_edge FROM x""")
 def resumable_links(spark, sf_dir):
     return local.resumable(_run(spark, sf_dir)[1]).select("level", "dst", "state", "edge_id", "next_edge")
@@ -391,7 +391,7 @@ for _option in ({"compact": False}, {"merge": "scan"}):
 
 
 @query("measure_product_pairs", f"""{search('basket', P2, FROM)}, stop AS (SELECT min(lv) AS l FROM firsts WHERE v = {TO} AND q = 1)
-    SELECT count(*) AS n_pairs, (SELECT count(*) FROM (SELECT src FROM e UNION SELECT dst FROM e)) * 2 AS bound FROM firsts, stop WHERE lv <= l""")
+    SELECT count(*) AS n_pairs, (SELECT count(*) FROM (SELECT src FROM e UNION SELECT dst FROM e)) * 2 AS bound FROM firsts, stop WHERE lv <= stop.l""")
 def measure_product_pairs(spark, sf_dir):
     g = views.basket(spark, sf_dir)
     met = _run(spark, sf_dir)[0].reach.agg(F.coalesce(F.sum(F.bit_count("mask")), F.lit(0)).cast("long").alias("n_pairs"))
