@@ -23,7 +23,7 @@ import pyarrow.compute as pc
 _SPACE = r"[\t-\r \x{85}\x{A0}\x{1680}\x{2000}-\x{200A}\x{2028}\x{2029}\x{202F}\x{205F}\x{3000}]"
 IRREGULAR = rf" {_SPACE}|{_SPACE} |[\x{{1c}}-\x{{1f}}\x{{85}}\x{{180e}}\x{{200b}}\x{{feff}}]"
 #: Pieces that a worker keeps; beyond it the cache starts anew (a matter of memory, not of results).
-CACHE_PIECES = 1_000_000
+CACHE_PIECES = 600_000
 #: Bytes of text that are split at once.
 SLICE_BYTES = 8 << 20
 
@@ -61,14 +61,65 @@ def byte_slices(texts: pa.Array, limit: int = SLICE_BYTES) -> Iterator[tuple[int
         begin = end
 
 
+#: How the two kinds of vocabulary cut a piece before merging; in force for letters of Latin-1 only.
+SPACED_CUT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+WORD_CUT = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
+#: Cut words that a worker keeps.
+CACHE_WORDS = 400_000
+
+
+def _byte_letters() -> dict[int, str]:
+    """The printable letter that byte-level vocabularies write for each byte: itself where it is printable Latin-1,
+    else the next free one from 256 on."""
+    printable = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    rest = iter(range(256, 512))
+    return {b: chr(b if b in printable else next(rest)) for b in range(256)}
+
+
 class LibraryCodec:
-    """Encodes pieces and whole texts with the ``tokenizers`` library."""
+    """Encodes pieces and whole texts with the ``tokenizers`` library.
 
-    def __init__(self, path: str):
-        self.tokenizer = load_tokenizer(path)
+    A piece of plain Latin-1 is cut here and each word given to the library's merge model once (its normaliser changes
+    no such text but for case); any other piece goes through the whole tokenizer.
+    """
+
+    def __init__(self, path: str, spaced: bool):
+        import regex
+
+        self.tokenizer, self.lower = load_tokenizer(path), not spaced
+        self.model, self.letters, self.known = self.tokenizer.model, _byte_letters(), {}
+        self.plain = regex.compile(r"[\t\n\r\x20-\x7e\xa1-\xac\xae-\xff]*").fullmatch
+        self.cut = regex.compile(SPACED_CUT if spaced else WORD_CUT).findall
 
     def pieces(self, pieces: list[str]) -> list[list[int]]:
-        return [e.ids for e in self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False)]
+        known, tokenize, letters, plain, cut, out, others = self.known, self.model.tokenize, self.letters, self.plain, self.cut, [], []
+        if len(known) > CACHE_WORDS:
+            known.clear()
+        lower, first = self.lower, 0 if self.lower else 1  # a spaced piece begins with its space
+        for i, piece in enumerate(pieces):
+            core = piece[first:] if piece[:first].isspace() else piece
+            latin = core.isascii() or max(core) <= "\xff"
+            if latin and core.isalpha():
+                words = (piece.lower() if lower else piece,)
+            elif latin and core[-1:] in ",." and core[:-1].isalpha():
+                words = (piece[:-1].lower() if lower else piece[:-1], core[-1])
+            elif latin and plain(piece):
+                words = cut(piece.lower() if lower else piece)
+            else:
+                others.append(i)
+                out.append(())
+                continue
+            ids: list[int] = []
+            for word in words:
+                got = known.get(word)
+                if got is None:
+                    got = known[word] = tuple([t.id for t in tokenize(word.encode().decode("latin-1").translate(letters))])
+                ids += got
+            out.append(ids)
+        whole = self.tokenizer.encode_batch_fast([pieces[i] for i in others], add_special_tokens=False) if others else []
+        for i, found in zip(others, whole):
+            out[i] = found.ids
+        return out
 
     def whole(self, text: str) -> list[int]:
         return self.tokenizer.encode(text, add_special_tokens=False).ids
@@ -155,4 +206,4 @@ class PieceEncoder:
 
 def library_encoder(path: str, spaced: bool) -> PieceEncoder:
     """The worker's encoder for a vocabulary file of the ``tokenizers`` library."""
-    return worker_state(("library", path, spaced), lambda: PieceEncoder(LibraryCodec(path), spaced))
+    return worker_state(("library", path, spaced), lambda: PieceEncoder(LibraryCodec(path, spaced), spaced))
