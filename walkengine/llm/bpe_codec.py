@@ -20,6 +20,7 @@ ties and skew do not matter); extra columns are not read.
 from __future__ import annotations
 
 import base64
+import gc
 import hashlib
 from collections.abc import Iterable, Iterator
 
@@ -30,7 +31,9 @@ from walkengine.llm.common import only, read_table
 from walkengine.llm.vocab import PieceEncoder, worker_state
 
 #: States that a worker keeps; beyond it the transducer starts anew (a matter of memory, not of results).
-MAX_STATES = 150_000
+MAX_STATES = 300_000
+#: Matches whose ids a worker keeps.
+MAX_WORDS = 400_000
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -40,10 +43,13 @@ def load_ranks(path: str) -> dict[bytes, int]:
 
 
 class _State:
-    __slots__ = ("before", "pending", "chain", "moves", "rest")
+    """``chain``: for each end in ``pending`` the (start, token) that its encoding ends with; ``open``: starts from which
+    the pending bytes begin some vocabulary entry."""
 
-    def __init__(self, before, pending, chain):
-        self.before, self.pending, self.chain = before, pending, chain
+    __slots__ = ("before", "pending", "chain", "open", "moves", "rest")
+
+    def __init__(self, before, pending, chain, open_):
+        self.before, self.pending, self.chain, self.open = before, pending, chain, open_
         self.moves: dict[int, tuple[_State, tuple[int, ...]]] = {}
         self.rest: tuple[int, ...] | None = None
 
@@ -51,21 +57,21 @@ class _State:
 class MergeTransducer:
     def __init__(self, ranks: dict[bytes, int]):
         self.ranks = ranks
-        self.longest = max(map(len, ranks))
         self.openings = {t[:i] for t in ranks for i in range(1, len(t))}
         self.history: dict[bytes, list[tuple[int, bytes, bytes]] | None] = {}
+        self.stable: set[bytes] = set()
         self.beside: dict[tuple[bytes, bytes], bool] = {}
         self._reset()
 
     def _reset(self) -> None:
         self.states: dict[tuple, _State] = {}
-        self.start = self._state(None, b"", ())
+        self.start = self._state(None, b"", (), ())
 
-    def _state(self, before, pending, chain) -> _State:
+    def _state(self, before, pending, chain, open_) -> _State:
         key = before, pending
         found = self.states.get(key)
         if found is None:
-            found = self.states[key] = _State(before, pending, chain)
+            found = self.states[key] = _State(before, pending, chain, open_)
         return found
 
     def merges(self, token: bytes) -> list[tuple[int, bytes, bytes]] | None:
@@ -80,6 +86,8 @@ class MergeTransducer:
             parts[i : i + 2] = [parts[i] + parts[i + 1]]
             steps.append((rank, parts[0], parts[-1]))
         self.history[token] = found = steps if len(parts) == 1 else None
+        if found is not None:
+            self.stable.add(token)
         return found
 
     def adjacent(self, left: bytes, right: bytes) -> bool:
@@ -106,49 +114,36 @@ class MergeTransducer:
         self.beside[key] = apart
         return apart
 
-    def _last(self, state: _State, pending: bytes) -> tuple[int, bytes]:
-        """(start, token) of the last token in the encoding of all bytes up to the end of ``pending``."""
-        n = len(pending)
-        for start in range(max(0, n - self.longest), n):
-            token = pending[start:]
-            if token not in self.ranks or self.merges(token) is None:
-                continue
-            previous = state.chain[start - 1][1] if start else state.before
-            if previous is None or self.adjacent(previous, token):
-                return start, token
-        raise AssertionError("every byte is a token")
-
     def _move(self, state: _State, byte: int) -> tuple[_State, tuple[int, ...]]:
         pending = state.pending + bytes((byte,))
-        chain = (*state.chain, self._last(state, pending))
-        n = len(pending)
-        # ends from which a later token may go on; they all go back to the same tokens at first
-        live = [n] + [k for k in range(max(0, n - self.longest), n) if pending[k:] in self.openings]
-        common: list[int] | None = None
-        for end in live:
-            path = []
-            while end:
-                path.append(end)
-                end = chain[end - 1][0]
-            path.reverse()
-            if common is None:
-                common = path
-            else:
-                k = 0
-                while k < len(common) and k < len(path) and common[k] == path[k]:
-                    k += 1
-                common = common[:k]
-            if not common:
-                break
-        if not common:
-            found = self._state(state.before, pending, chain), ()
+        n, chain, stable, beside = len(pending), state.chain, self.stable, self.beside
+        starts = (*state.open, n - 1)  # a longer token can only begin where the bytes before began an entry
+        for start in starts:
+            token = pending[start:]
+            if token in self.ranks and (token in stable or self.merges(token) is not None):
+                previous = chain[start - 1][1] if start else state.before
+                apart = True if previous is None else beside.get((previous, token))
+                if apart if apart is not None else self.adjacent(previous, token):
+                    break
+        chain = (*chain, (start, token))
+        open_ = tuple([k for k in starts if pending[k:] in self.openings])
+        # ends from which one may go on, as bits; the last end that all of them have behind them is certain
+        live = 1 << n
+        for k in open_:
+            live |= 1 << k
+        while live & (live - 1):
+            top = live.bit_length() - 1
+            live = live ^ (1 << top) | 1 << chain[top - 1][0]
+        cut = live.bit_length() - 1
+        if not cut:
+            found = self._state(state.before, pending, chain, open_), ()
         else:
-            cut = common[-1]
-            emitted = tuple(self.ranks[chain[e - 1][1]] for e in common)
-            kept = tuple((s - cut, t) for s, t in chain[cut:])
-            # a token of the chain that began before the cut can't be followed by anything any more
-            kept = tuple((s, t) if s >= 0 else (0, b"") for s, t in kept)
-            found = self._state(chain[cut - 1][1], pending[cut:], kept), emitted
+            emitted, end = [], cut
+            while end:
+                end, token = chain[end - 1]
+                emitted.append(self.ranks[token])
+            kept = tuple([(s - cut, t) for s, t in chain[cut:]])  # what began before the cut is never gone on from
+            found = self._state(chain[cut - 1][1], pending[cut:], kept, tuple([k - cut for k in open_])), tuple(reversed(emitted))
         state.moves[byte] = found
         return found
 
@@ -166,6 +161,7 @@ class MergeTransducer:
             return [self.ranks[piece]]
         if len(self.states) > MAX_STATES:
             self._reset()
+            gc.collect()  # states refer to each other
         if len(self.beside) > 10 * MAX_STATES:
             self.beside.clear()
         state, out = self.start, []
@@ -217,7 +213,7 @@ class StreamDecoder:
 
 
 class TransducerCodec:
-    """Pieces and whole texts: the pattern cuts them, the transducer encodes each match."""
+    """Pieces and whole texts: the pattern cuts them, the transducer encodes each match (once while it is kept)."""
 
     def __init__(self, path: str, pattern: str):
         import regex
@@ -225,12 +221,32 @@ class TransducerCodec:
         self.ranks = load_ranks(path)
         self.transducer, self.matches = MergeTransducer(self.ranks), regex.compile(pattern).findall
         self.vocabulary = {i: t for t, i in self.ranks.items()}
+        self.known: dict[str, tuple[int, ...]] = {}
+        # words are single matches of the public pattern, with or without the space before; other patterns always cut
+        self.letters_match = all(self.matches(x) == [x] for x in ("aé", " aé")) and self.matches(" a,") == [" a", ","]
 
-    def whole(self, text: str) -> list[int]:
-        return [i for match in self.matches(text) for i in self.transducer.encode(match.encode())]
+    def _ids(self, match: str) -> tuple[int, ...]:
+        found = self.known.get(match)
+        if found is None:
+            if len(self.known) > MAX_WORDS:
+                self.known.clear()
+            found = self.known[match] = tuple(self.transducer.encode(match.encode()))
+        return found
 
-    def pieces(self, pieces: list[str]) -> list[list[int]]:
-        return list(map(self.whole, pieces))
+    def whole(self, text: str) -> list[int]:
+        return [i for match in self.matches(text) for i in self._ids(match)]
+
+    def pieces(self, pieces: list[str]) -> list:
+        out, letters_match, ids_of, whole = [], self.letters_match, self._ids, self.whole
+        for piece in pieces:
+            core = piece[1:] if piece[:1] == " " else piece
+            if letters_match and core.isalpha() and (core.isascii() or max(core) <= "\xff"):
+                out.append(ids_of(piece))
+            elif letters_match and core[-1:] in ",." and core[:-1].isalpha() and (core.isascii() or max(core) <= "\xff"):
+                out.append(ids_of(piece[:-1]) + ids_of(core[-1]))
+            else:
+                out.append(whole(piece))
+        return out
 
 
 class _DecimalEncoder(PieceEncoder):

@@ -147,7 +147,7 @@ def read_block(index: bytes, n_docs: int, data: bytes, width: int, dictionary: b
 def read_document(blocks: DataFrame, dictionary: bytes, doc_id: int) -> np.ndarray | None:
     """The ids of one document: the block that may hold it is found by a pushed-down filter and its index."""
     row = blocks.where(F.col("first_id") <= doc_id).orderBy(F.desc("first_id")).limit(1).collect()
-    found = dict(read_block(row[0].index, row[0].n_docs, row[0].frames, row[0].id_bytes, dictionary)) if row else {}
+    found = dict(read_block(row[0]["index"], row[0]["n_docs"], row[0]["frames"], row[0]["id_bytes"], dictionary)) if row else {}
     return found.get(doc_id)
 
 

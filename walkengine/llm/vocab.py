@@ -9,6 +9,7 @@ whole.
 
 from __future__ import annotations
 
+import gc
 import os
 import sys
 import types
@@ -32,6 +33,7 @@ def worker_state(key: tuple, make):
     """A value that tasks of one Python worker share (functions travel by value, so module globals are not shared)."""
     held = sys.modules.setdefault("_walkengine_worker_state", types.ModuleType("_walkengine_worker_state")).__dict__
     if key not in held:
+        gc.set_threshold(300_000, 50, 50)  # the caches hold millions of objects that are no garbage; visit them rarely
         held[key] = make()
     return held[key]
 
