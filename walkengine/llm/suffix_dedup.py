@@ -200,11 +200,6 @@ def multikey_quicksort(keys: list[bytes]) -> list[int]:
     return out
 
 
-def _windows(suffix: bytes, lead: bytes) -> Iterator[bytes]:
-    whole = lead + suffix
-    return (whole[i : i + REPEAT] for i in range(len(whole) - REPEAT + 1))
-
-
 def repeats(found: DataFrame) -> DataFrame:
     """Spans (doc_id, begin, end) that repeat earlier bytes, from suffixes."""
     spark = found.sparkSession
@@ -219,18 +214,21 @@ def repeats(found: DataFrame) -> DataFrame:
         order = multikey_quicksort(suffix)
         heads = [suffix[i][:ANCHOR] for i in order]
         edges = [0] + [i for i in range(1, len(order)) if heads[i] != heads[i - 1]] + [len(order)]
-        inner = order[edges[1] : edges[-2]] if len(edges) > 2 else []
-        for i in {*order[: edges[1]], *order[edges[-2] :]}:  # runs that may go on beyond the bucket
-            windows = [hashlib.blake2b(w, digest_size=16).digest() for w in _windows(suffix[i], lead[i])]
-            n = len(windows)
-            place = np.arange(begins[i], begins[i] + n, dtype=np.int32)
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(n, ids[i])), pa.array(place), none(n, pa.int32()), pa.array(windows, pa.binary())], schema=REPEATED)
-        # a run of one suffix repeats nothing
-        inner = [order[k] for a, b in zip(edges[1:-2], edges[2:-1]) if b - a > 1 for k in range(a, b)] if inner else []
-        if inner:
-            whole = [lead[i] + suffix[i] for i in inner]
-            for part in _equal_windows(whole, ids[inner], begins[inner]):
-                yield part
+        # runs that may go on beyond the bucket: the first and the last; a closed run of one suffix repeats nothing
+        open_rows = sorted({*order[: edges[1]], *order[edges[-2] :]})
+        inner = [order[k] for a, b in zip(edges[1:-2], edges[2:-1]) if b - a > 1 for k in range(a, b)]
+        rows_in = inner + open_rows
+        spans, firsts = _equal_windows([lead[i] + suffix[i] for i in rows_in], ids[rows_in], begins[rows_in], len(inner))
+        yield spans
+        # of each window of an open run, the earliest place in this bucket goes on
+        out = ([], [], [])
+        for row, shift in firsts:
+            i = rows_in[row]
+            out[0].append(int(ids[i]))
+            out[1].append(int(begins[i]) + shift)
+            out[2].append(hashlib.blake2b((lead[i] + suffix[i])[shift : shift + REPEAT], digest_size=16).digest())
+        columns = [pa.array(out[0], pa.int64()), pa.array(out[1], pa.int32()), none(len(out[0]), pa.int32()), pa.array(out[2], pa.binary())]
+        yield pa.RecordBatch.from_arrays(columns, schema=REPEATED)
 
     ranged = found.repartitionByRange(shuffle_partitions(spark) * 2, "suffix", "lead", "doc_id", "begin")
     out = staged(ranged.mapInArrow(run, "doc_id long, begin int, end int, window binary"), "repeats")
@@ -247,32 +245,32 @@ def repeats(found: DataFrame) -> DataFrame:
 REPEATED = pa.schema([("doc_id", pa.int64()), ("begin", pa.int32()), ("end", pa.int32()), ("window", pa.binary())])
 
 
-def _equal_windows(whole: list[bytes], ids: np.ndarray, begins: np.ndarray, limit: int = 1 << 22) -> Iterator[pa.RecordBatch]:
-    """Spans of windows that equal an earlier one; runs are complete, so windows compare by hash within all of them."""
+def _equal_windows(whole: list[bytes], ids: np.ndarray, begins: np.ndarray, open_from: int) -> tuple[pa.RecordBatch, list[tuple[int, int]]]:
+    """(spans of windows that equal an earlier one here, (row, shift) of the earliest of each window from row
+    ``open_from`` on)."""
     buffer = Buffer(pa.array(whole, pa.large_binary()))
-    counts = np.diff(buffer.bounds) - REPEAT + 1
+    counts = np.maximum(0, np.diff(buffer.bounds) - REPEAT + 1)
     row = np.repeat(np.arange(len(whole)), counts)
     shift = np.arange(len(row)) - np.repeat(np.cumsum(counts) - counts, counts)
     start = buffer.bounds[:-1][row] + shift
     value = buffer.hashes(start, start + REPEAT)
     doc, place = ids[row], begins[row] + shift
     order = np.lexsort((place, doc, value))
-    value, doc, place = value[order], doc[order], place[order]
-    fresh = np.concatenate([[True], value[1:] != value[:-1]])
-    group = np.maximum.accumulate(np.where(fresh, np.arange(len(value)), 0))
+    value, doc, place, row, shift = (x[order] for x in (value, doc, place, row, shift))
+    fresh = np.ones(len(value), bool)
+    fresh[1:] = value[1:] != value[:-1]
+    opened = np.flatnonzero(fresh & (row >= open_from))
+    firsts = list(zip(row[opened].tolist(), shift[opened].tolist()))
+    group = np.maximum.accumulate(np.where(fresh, np.arange(len(value)), 0)) if len(value) else np.zeros(0, np.int64)
     again = (doc != doc[group]) | (place != place[group])
     doc, place = doc[again], place[again]
     order = np.lexsort((place, doc))
     doc, place = doc[order], place[order]
-    if not len(doc):
-        return
     cut = np.flatnonzero((np.diff(doc) != 0) | (np.diff(place) > REPEAT)) + 1
-    first, last = np.concatenate([[0], cut]), np.concatenate([cut, [len(doc)]]) - 1
-    n = len(first)
-    yield pa.RecordBatch.from_arrays(
-        [pa.array(doc[first]), pa.array(place[first].astype(np.int32)), pa.array((place[last] + REPEAT).astype(np.int32)), pa.nulls(n, pa.binary())],
-        schema=REPEATED,
-    )
+    first = np.concatenate([[0], cut]).astype(np.int64)[: len(cut) + bool(len(doc))]
+    last = np.concatenate([cut, [len(doc)]]).astype(np.int64)[: len(first)] - 1
+    columns = [pa.array(doc[first], pa.int64()), pa.array(place[first].astype(np.int32)), pa.array((place[last] + REPEAT).astype(np.int32))]
+    return pa.RecordBatch.from_arrays([*columns, pa.nulls(len(first), pa.binary())], schema=REPEATED), firsts
 
 
 def removed_spans(docs: DataFrame) -> DataFrame:
