@@ -92,7 +92,7 @@ def test_micro_graphs(spark):
     assert [(r.length, r.edge_path) for r in minimal_walks(loop, "a+", "s", "s").collect()] == [(1, "e1")]
     assert minimal_walks(loop, "b", "s", "s").count() == 0
     assert minimal_walks(loop, Nfa.of(1, [], [], [0]), "s", "s").count() == 0
-    assert minimal_walks(spark.createDataFrame([], SCHEMA).transform(LabeledGraph), "a", "s", "t").count() == 0
+    assert minimal_walks(LabeledGraph(spark.createDataFrame([], SCHEMA)), "a", "s", "t").count() == 0
 
 
 def _random(seed):
