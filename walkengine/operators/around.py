@@ -74,7 +74,8 @@ def walk_edges_with_attributes(spark, sf_dir):
 
 def walks_by_month_rollup(spark, sf_dir):
     rows = _steps(spark, sf_dir).select(F.year("l_shipdate").alias("year"), F.month("l_shipdate").alias("month"))
-    return rows.rollup("year", "month").agg(F.count("*").alias("n_edges"))
+    counts = rows.rollup("year", "month").agg(F.count("*").alias("n_edges"))
+    return counts.select(F.coalesce("year", F.lit(-1)).alias("year"), F.coalesce("month", F.lit(-1)).alias("month"), "n_edges")
 
 
 def topk_walks_by_value(spark, sf_dir):
@@ -129,7 +130,7 @@ ORACLES = {
     "common_answers": _TWO("INTERSECT"),
     "answers_only_p2": _TWO("EXCEPT"),
     "walk_edges_with_attributes": f"{_STEP} SELECT edge_path, step::INT AS step, edge_id, l_returnflag, strftime(l_shipdate, '%Y-%m-%d') AS shipped, round(l_extendedprice * 100)::BIGINT AS cents FROM s",
-    "walks_by_month_rollup": f"{_STEP} SELECT year(l_shipdate)::INT AS year, month(l_shipdate)::INT AS month, count(*) AS n_edges FROM s GROUP BY ROLLUP (year(l_shipdate)::INT, month(l_shipdate)::INT)",
+    "walks_by_month_rollup": f"{_STEP}, m AS (SELECT year(l_shipdate)::INT AS y, month(l_shipdate)::INT AS m FROM s) SELECT coalesce(y, -1) AS year, coalesce(m, -1) AS month, n_edges FROM (SELECT y, m, count(*) AS n_edges FROM m GROUP BY ROLLUP (y, m))",
     "topk_walks_by_value": f"{_STEP} SELECT edge_path, sum(round(l_extendedprice * 100)::BIGINT)::BIGINT AS cents FROM s GROUP BY edge_path ORDER BY cents DESC, edge_path LIMIT 5",
     "asof_next_event": """SELECT event_id, coalesce(next_purchase, -1) AS next_purchase FROM (SELECT event_id, event_type, first(CASE WHEN event_type = 'purchase' THEN event_id END IGNORE NULLS)
         OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS next_purchase FROM events) WHERE event_type = 'error'""",
