@@ -152,6 +152,22 @@ def test_many_near_copies_are_one_class(spark):
     assert {g.component_id for g in got} == {0}
 
 
+def test_hub_with_more_near_copies_than_the_windows_reach(spark):
+    r = random.Random(8)
+    hub, texts = [f"w{i}" for i in range(400)], {5000: None}
+    texts[5000] = " ".join(hub)
+    for i in range(1100):
+        w = list(hub)
+        for k in r.sample(range(1, 79), 11):
+            w[5 * k] = f"own{i}x{k}"
+        texts[i] = " ".join(w)
+    sets = {i: {tuple(w[k : k + 5]) for k in range(len(w) - 4)} for i, w in ((i, t.split()) for i, t in texts.items())}
+    similar = lambda x, y: 100 * len(x & y) >= 75 * len(x | y)
+    assert all(similar(sets[5000], s) for s in sets.values()) and not similar(sets[0], sets[1])
+    got = minhash_forest.classes(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).collect()
+    assert {(g.doc_id, g.component_id, g.kept) for g in got} == {(i, 0, i == 0) for i in texts}
+
+
 def test_license_scan(docs):
     got = by_id(license_scan.scan(docs))
     for i, text in TEXTS.items():

@@ -7,7 +7,10 @@
    becoming one bucket.  Neighbours within a window whose common prefix is long enough are candidates if their
    signatures agree often enough; ends of adjacent partitions are compared in a step of their own.
 3. Candidates are confirmed on the full sets: first each document with its best candidate, then the candidates whose
-   ends are not connected yet.  Confirmed links make the components.
+   ends are not connected yet.
+4. The window and the number of candidates kept cut long runs of equal prefixes off.  So every run whose rows are still
+   in more than one component is compared whole, in pairs of blocks, and what agrees often enough is confirmed on the
+   full sets too.  Confirmed links make the components.
 
 The set of a document without words is empty and linked with nothing; a null text counts as empty.  A null doc_id is
 never linked.  Rows that repeat are equal sets.  Further columns pass through ``drop_near_copies``.
@@ -36,6 +39,8 @@ VALUES, ORDERS, PREFIX, WINDOW = 64, 16, 2, 32
 AGREE = 0.53
 #: Candidates that a document keeps in one order besides its direct neighbour.
 BEST = 3
+#: Rows and shingles in a block of a run that is compared whole (a task holds two blocks).
+BLOCK_ROWS, BLOCK_SHINGLES = 1024, 1 << 20
 
 _ODD = np.random.default_rng(77).integers(1, 2**63, SHINGLE + 1, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
@@ -131,8 +136,13 @@ def _neighbours(ids: np.ndarray, keys: np.ndarray, order: np.ndarray, fresh: int
     return out
 
 
-def candidates(reps: DataFrame) -> DataFrame:
-    """a, b (a < b) and the number of equal signature values, from the sorted orders of ``reps`` (doc_id, sig)."""
+def matrix(keys: list[bytes]) -> np.ndarray:
+    return np.frombuffer(b"".join(keys), ">u2").reshape(-1, VALUES)
+
+
+def candidates(reps: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """a, b (a < b) and the number of equal signature values, from the sorted orders of ``reps`` (doc_id, sig,
+    n_shingles); and the rows of the orders: tree, key, doc_id, size."""
     permuted = orders()
     spark = reps.sparkSession
 
@@ -159,10 +169,9 @@ def candidates(reps: DataFrame) -> DataFrame:
                 for k, p in enumerate(permuted):
                     own = rows[number == k]
                     keys = pa.array([r.tobytes() for r in np.ascontiguousarray(values[own][:, p])], pa.binary())
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(own), k, np.int32)), keys, batch["doc_id"].take(pa.array(own))], names=["tree", "key", "doc_id"])
-
-    def matrix(keys: list[bytes]) -> np.ndarray:
-        return np.frombuffer(b"".join(keys), ">u2").reshape(-1, VALUES)
+                    at = pa.array(own)
+                    columns = [pa.array(np.full(len(own), k, np.int32)), keys, batch["doc_id"].take(at), batch["n_shingles"].take(at)]
+                    yield pa.RecordBatch.from_arrays(columns, names=["tree", "key", "doc_id", "size"])
 
     def walk(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Pairs; besides the first and last rows, as rows with a key, for the border before and after."""
@@ -208,12 +217,12 @@ def candidates(reps: DataFrame) -> DataFrame:
         a, b = zip(*pairs) if pairs else ((), ())
         return pa.table([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(pairs.values(), pa.int32())], names=["a", "b", "same"])
 
-    planted = staged(reps.mapInArrow(plant, "tree int, key binary, doc_id long"), "planted")
-    sorted_rows = planted.repartitionByRange(shuffle_partitions(spark) * 2, "tree", "key", "doc_id").sortWithinPartitions("tree", "key", "doc_id")
+    planted = staged(reps.mapInArrow(plant, "tree int, key binary, doc_id long, size long"), "planted")
+    sorted_rows = planted.drop("size").repartitionByRange(shuffle_partitions(spark) * 2, "tree", "key", "doc_id").sortWithinPartitions("tree", "key", "doc_id")
     walked = staged(sorted_rows.mapInArrow(walk, "a long, b long, same int, border int, tree int, key binary"), "forest")
     across = walked.where("border IS NOT NULL").groupBy("border").applyInArrow(meet, "a long, b long, same int")
     inside = walked.where("border IS NULL").select("a", "b", "same")
-    return inside.union(across).groupBy("a", "b").agg(F.max("same").alias("same"))
+    return inside.union(across).groupBy("a", "b").agg(F.max("same").alias("same")), planted
 
 
 WALKED = pa.schema(
@@ -236,9 +245,103 @@ def confirm(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     return both.select("a", "b", "text_a", "text_b").mapInArrow(run, "a long, b long")
 
 
+def whole_runs(planted: DataFrame, at: DataFrame) -> DataFrame:
+    """part, p, q, a, b: pairs (a < b) of rows that share a prefix and agree often enough, but are in different
+    components of ``at``.  Each pair is in one tile (part, p, q), that of the first order where its prefixes are equal."""
+    permuted, run = orders(), ["tree", "head"]
+    rows = planted.withColumn("head", F.substring("key", 1, 2 * PREFIX)).join(at.withColumnRenamed("node", "doc_id"), "doc_id", "left")
+    rows = staged(rows.withColumn("component", F.coalesce("component", "doc_id")), "runs")
+    mixed = rows.groupBy(*run).agg(F.count("*").alias("n"), F.sum("size").alias("w"), F.min("component").alias("x"), F.max("component").alias("y")).where("x <> y")
+    mixed = staged(mixed.select(*run, "n", "w", F.greatest(F.ceil(F.col("n") / BLOCK_ROWS), F.ceil(F.col("w") / BLOCK_SHINGLES)).cast("int").alias("blocks")), "mixed-runs")
+    # runs of one block share tiles, so that a tile is worth a call
+    n, w = mixed.where("blocks = 1").agg(F.sum("n"), F.sum("w")).first()
+    shared = 1 + max((n or 0) // BLOCK_ROWS, (w or 0) // BLOCK_SHINGLES)
+    rows = rows.join(mixed.select(*run, "blocks"), run)
+    hashed = F.xxhash64(*run)
+    rows = rows.withColumn("part", F.when(F.col("blocks") == 1, F.pmod(hashed, F.lit(shared))).otherwise(hashed))
+    rows = rows.withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
+    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    rows = rows.withColumn("p", F.least("block", "other")).withColumn("q", F.greatest("block", "other"))
+
+    def compare(tile: pa.Table) -> pa.Table:
+        tile = tile.sort_by([("tree", "ascending"), ("key", "ascending"), ("doc_id", "ascending")])
+        ids, trees, size, block, component = (np.asarray(tile[c]) for c in ("doc_id", "tree", "size", "block", "component"))
+        keys = matrix(tile["key"].to_pylist())
+        starts = np.flatnonzero((trees[1:] != trees[:-1]) | (keys[1:, :PREFIX] != keys[:-1, :PREFIX]).any(axis=1)) + 1
+        crossed = tile["p"][0].as_py() != tile["q"][0].as_py()
+        a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        for begin, end in zip([0, *starts.tolist()], [*starts.tolist(), len(ids)]):
+            # where the values of the first places of all earlier orders are in the keys of this one
+            back = np.argsort(permuted[trees[begin]])
+            earlier = [back[permuted[k][:PREFIX]] for k in range(trees[begin])]
+            for i in range(begin, end - 1):
+                rest = slice(i + 1, end)
+                open_ = (component[rest] != component[i]) & (ids[rest] != ids[i])
+                open_ &= 100 * np.minimum(size[rest], size[i]) >= PERCENT * np.maximum(size[rest], size[i])
+                if crossed:
+                    open_ &= block[rest] != block[i]
+                js = np.flatnonzero(open_) + i + 1
+                equal = keys[js] == keys[i]
+                good = equal.sum(axis=1) >= AGREE * VALUES
+                for places in earlier:
+                    good &= ~equal[:, places].all(axis=1)
+                js = js[good]
+                a.append(np.minimum(ids[js], ids[i]))
+                b.append(np.maximum(ids[js], ids[i]))
+        a, b = np.concatenate(a), np.concatenate(b)
+        where = [pa.array(np.full(len(a), tile[c][0].as_py()), t) for c, t in (("part", pa.int64()), ("p", pa.int32()), ("q", pa.int32()))]
+        return pa.table([*where, pa.array(a), pa.array(b)], names=["part", "p", "q", "a", "b"])
+
+    rows = rows.select("part", "p", "q", "tree", "key", "doc_id", "size", "block", "component")
+    return rows.groupBy("part", "p", "q").applyInArrow(compare, "part long, p int, q int, a long, b long")
+
+
+def confirm_tiles(pairs: DataFrame, docs: DataFrame) -> DataFrame:
+    """Links (a, b) that connect what all similar enough ``pairs`` (part, p, q, a, b) would connect.  A text comes once
+    for a tile, however many pairs of the tile it is in."""
+    tile = ["part", "p", "q"]
+    ends = pairs.select(*tile, F.explode(F.array("a", "b")).alias("doc_id")).distinct().toDF(*tile, "doc_id")
+    texts = only(docs, "doc_id", "text").join(ends.select("doc_id").distinct().hint("merge"), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    texts = ends.join(texts.hint("merge"), "doc_id").select(*tile, "doc_id", "text")
+
+    def run(pairs: pa.Table, texts: pa.Table) -> pa.Table:
+        ids = np.asarray(texts["doc_id"])
+        by_id = np.argsort(ids)
+        sets_ = [g for chunk in texts["text"].chunks for g in shingle_sets(chunk)]
+        lengths = np.array([len(g) for g in sets_], np.int64)
+        starts = np.cumsum(lengths) - lengths
+        _, grams = np.unique(np.concatenate(sets_), return_inverse=True)
+        marked, label = np.zeros(len(grams), bool), np.arange(len(ids))
+        place = lambda c: by_id[np.searchsorted(ids, np.asarray(pairs[c]), sorter=by_id)]
+        left, right = place("a"), place("b")
+        order = np.argsort(left, kind="stable")
+        left, right = left[order], right[order]
+        found: list[tuple[int, int]] = []
+        cuts = np.flatnonzero(np.diff(left)) + 1
+        for js, i in zip(np.split(right, cuts), left[np.concatenate([[0], cuts])].tolist()):
+            js = js[label[js] != label[i]]
+            if not len(js):
+                continue
+            own = grams[starts[i] : starts[i] + lengths[i]]
+            marked[own] = True
+            ends_ = np.cumsum(lengths[js])
+            at = np.arange(ends_[-1]) + np.repeat(starts[js] - ends_ + lengths[js], lengths[js])
+            n = np.add.reduceat(marked[grams[at]], ends_ - lengths[js], dtype=np.int64)
+            marked[own] = False
+            for j in js[(n > 0) & (100 * n >= PERCENT * (lengths[js] + lengths[i] - n))].tolist():
+                if label[j] != label[i]:
+                    label[label == label[j]] = label[i]
+                    found.append((min(ids[i], ids[j]), max(ids[i], ids[j])))
+        a, b = zip(*found) if found else ((), ())
+        return pa.table([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+    return pairs.groupBy(*tile).cogroup(texts.groupBy(*tile)).applyInArrow(run, "a long, b long")
+
+
 def links(reps: DataFrame, docs: DataFrame) -> DataFrame:
-    """Confirmed links (a, b) that connect all that candidates connect; ``reps``: doc_id, sig."""
-    pairs = staged(candidates(reps), "candidates")
+    """Confirmed links (a, b) that connect all that candidates connect; ``reps``: doc_id, sig, n_shingles."""
+    pairs, planted = candidates(reps)
+    pairs = staged(pairs, "candidates")
     ends = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
     texts = staged(only(docs, "doc_id", "text").join(ends.hint("merge"), "doc_id", "left_semi").dropDuplicates(["doc_id"]), "candidate-texts")
     sided = pairs.select("a", "b", "same").union(pairs.select("b", "a", "same"))
@@ -249,16 +352,17 @@ def links(reps: DataFrame, docs: DataFrame) -> DataFrame:
     on = lambda end: at.select(F.col("node").alias(end), F.col("component").alias(f"at_{end}"))
     rest = pairs.join(best, ["a", "b"], "left_anti").join(on("a"), "a", "left").join(on("b"), "b", "left")
     rest = rest.where("at_a IS NULL OR at_b IS NULL OR at_a <> at_b").select("a", "b")
-    second = confirm(rest, texts)
-    return first.union(second)
+    near = staged(first.union(confirm(rest, texts)), "near-links")
+    cut = whole_runs(planted, staged(components(near), "components")).join(pairs.select("a", "b"), ["a", "b"], "left_anti")
+    return near.union(confirm_tiles(staged(cut.select("part", "p", "q", "a", "b"), "cut-pairs"), docs))
 
 
 def classes(docs: DataFrame) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id, kept."""
     found = staged(sets(docs), "shingle-sets")
     linked = found.where("n_shingles > 0 AND doc_id IS NOT NULL")
-    same = staged(linked.groupBy("digest").agg(F.min(F.struct("doc_id", "sig")).alias("r")).select("digest", "r.doc_id", "r.sig"), "representatives")
-    at = components(links(same.select("doc_id", "sig"), docs))
+    same = staged(linked.groupBy("digest").agg(F.min(F.struct("doc_id", "sig", "n_shingles")).alias("r")).select("digest", "r.*"), "representatives")
+    at = components(links(same.drop("digest"), docs))
     of_set = same.select("digest", F.col("doc_id").alias("rep")).join(at, F.col("rep") == F.col("node"), "left")
     of_set = of_set.select("digest", F.coalesce("component", "rep").alias("component"))
     joined = found.join(of_set, "digest", "left")
