@@ -12,6 +12,7 @@ from walkengine.core.search import back_links, layer_forward, minimal_lengths_fr
 from walkengine.graph import views
 from walkengine.graph.model import LabeledGraph
 from walkengine.lang.automata import Nfa
+from walkengine.operators import registry
 from walkengine.operators.automata import P1, P2, P3
 from walkengine.session import staged
 
@@ -143,6 +144,15 @@ def test_delay_does_not_grow_with_the_in_degree(spark):
     assert most[0, True] == most[200, True] and most[200, False] > 20 * most[200, True]
 
 
+def test_recursive_baseline_goes_as_deep_as_the_pair_needs(spark, tmp_path):
+    for name, parts, expected in (("four", [0, 5, 6, 7, 1], 4), ("none", [0, 5], None)):
+        rows = [(9, k, part, 3, 60000.0, "R", "O", 1) for k, part in enumerate(parts, 1)]
+        columns = "l_orderkey long, l_linenumber int, l_partkey long, l_suppkey long, l_extendedprice double, l_returnflag string, l_linestatus string, l_quantity int"
+        spark.createDataFrame(rows, columns).write.parquet(str(tmp_path / name / "lineitem.parquet"))
+        found = registry.QUERIES["baseline_sql_recursive"](spark, str(tmp_path / name)).collect()
+        assert [r.length for r in found] == ([expected] if expected else [])
+
+
 def test_level_loop_has_no_distinct_and_no_python(demo):
     _, _, links = demo
     plan = links.sparkSession.sql("SELECT 1")._jdf.queryExecution().toString()

@@ -372,7 +372,8 @@ def baseline_determinize(spark, sf_dir):
 
 @query("baseline_sql_recursive", walks("basket", P2, 0, 1))
 def baseline_sql_recursive(spark, sf_dir):
-    return base.recursive_sql(views.basket(spark, sf_dir), P2, 0, 1, 3)
+    g = views.basket(spark, sf_dir)
+    return base.recursive_sql(g, P2, 0, 1, min_length(g, P2, pair(g, 0, 1)).first()["length"] or 0)
 
 
 @query("baseline_brute_force_demo", "SELECT edge_path FROM (" + _DEMO_WALKS + ")")
