@@ -144,6 +144,15 @@ def test_delay_does_not_grow_with_the_in_degree(spark):
     assert most[0, True] == most[200, True] and most[200, False] > 20 * most[200, True]
 
 
+def test_next_walk_goes_on_to_the_last_walk(spark):
+    g = graph(spark, [(f"{x}{i:02}", *ends, ["a"]) for x, ends in (("c", "sm"), ("d", "mt")) for i in range(33)])
+    layers = layer_forward(g, Nfa.of(1, [(0, "a", 0)], [0], [0]), pair(g, "s", "t"))
+    links = staged(back_links(layers), "links")
+    for method in ("scan", "pointer"):
+        found = [r.edge_path for r in local.iterate_next(layers, links, method).collect()]
+        assert len(found) == len(set(found)) == 33 * 33
+
+
 def test_recursive_baseline_goes_as_deep_as_the_pair_needs(spark, tmp_path):
     for name, parts, expected in (("four", [0, 5, 6, 7, 1], 4), ("none", [0, 5], None)):
         rows = [(9, k, part, 3, 60000.0, "R", "O", 1) for k, part in enumerate(parts, 1)]

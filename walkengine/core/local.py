@@ -180,12 +180,12 @@ def walk_deltas(layers: Layers, links: DataFrame) -> DataFrame:
     return per_run(layers, links, body, "rank long, kept long, new_edges string")
 
 
-def iterate_next(layers: Layers, links: DataFrame, method: str, limit: int = 1000) -> DataFrame:
-    """The walks found by asking for the next one again and again, with the steps of each question."""
+def iterate_next(layers: Layers, links: DataFrame, method: str, limit: int | None = None) -> DataFrame:
+    """The walks found by asking for the next one again and again, with the steps of each question; stops after ``limit`` walks."""
 
     def body(emitter: Emitter, target):
         path, rank = next(emitter.walks(), None), 0
-        while path is not None and rank < limit:
+        while path is not None and (limit is None or rank < limit):
             yield rank, text(path), emitter.steps
             emitter.steps = 0
             path, rank = (emitter.next_walk(path, method) if path else None), rank + 1
