@@ -20,7 +20,6 @@ ties and skew do not matter); extra columns are not read.
 from __future__ import annotations
 
 import base64
-import gc
 import hashlib
 from collections.abc import Iterable, Iterator
 
@@ -31,9 +30,11 @@ from walkengine.llm.common import only, read_table
 from walkengine.llm.vocab import PieceEncoder, worker_state
 
 #: States that a worker keeps; beyond it the transducer starts anew (a matter of memory, not of results).
-MAX_STATES = 300_000
+MAX_STATES = 250_000
+#: Ids that the query gives to the streaming decoder at a time.
+FEED = 4096
 #: Matches whose ids a worker keeps.
-MAX_WORDS = 400_000
+MAX_WORDS = 120_000
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -42,43 +43,64 @@ def load_ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
 
 
-class _State:
-    """``chain``: for each end in ``pending`` the (start, token) that its encoding ends with; ``open``: starts from which
-    the pending bytes begin some vocabulary entry."""
-
-    __slots__ = ("before", "pending", "chain", "open", "moves", "rest")
-
-    def __init__(self, before, pending, chain, open_):
-        self.before, self.pending, self.chain, self.open = before, pending, chain, open_
-        self.moves: dict[int, tuple[_State, tuple[int, ...]]] = {}
-        self.rest: tuple[int, ...] | None = None
+_ROOM = 32
+#: Low bits of a packed pair (start, node) or (start, id).
+_LOW = (1 << _ROOM) - 1
 
 
 class MergeTransducer:
+    """A state is what the bytes to come can depend on: for each end of the pending bytes the (start, id) that their
+    encoding ends with (``chains``), each start from which the pending bytes begin some entry, with its node in the trie
+    of entries (``opens``), and the last emitted id where a token may still begin right after it (``befores``).  Pairs
+    are packed into one number; moves and states have numbers too, so that a million of them stays small."""
+
     def __init__(self, ranks: dict[bytes, int]):
-        self.ranks = ranks
-        self.openings = {t[:i] for t in ranks for i in range(1, len(t))}
-        self.history: dict[bytes, list[tuple[int, bytes, bytes]] | None] = {}
-        self.stable: set[bytes] = set()
-        self.beside: dict[tuple[bytes, bytes], bool] = {}
+        self.ranks, self.entry = ranks, {i: t for t, i in ranks.items()}
+        self.trie: dict[int, int] = {}  # node << 8 | byte -> node; the root is 0
+        self.at, self.inner = [-1], [True]  # a node's id (-1: none), and whether longer entries go on from it
+        for token, i in ranks.items():
+            node = 0
+            for byte in token:
+                below = self.trie.get(node << 8 | byte)
+                if below is None:
+                    below = self.trie[node << 8 | byte] = len(self.at)
+                    self.at.append(-1)
+                    self.inner.append(False)
+                self.inner[node] = True
+                node = below
+            self.at[node] = i
+        self.history: dict[int, list[tuple[int, bytes, bytes]] | None] = {}
+        self.beside: dict[int, bool] = {}
         self._reset()
 
     def _reset(self) -> None:
-        self.states: dict[tuple, _State] = {}
-        self.start = self._state(None, b"", (), ())
-
-    def _state(self, before, pending, chain, open_) -> _State:
-        key = before, pending
-        found = self.states.get(key)
+        self.numbers: dict[tuple, int] = {}
+        self.befores: list[int] = []
+        self.chains: list[tuple[int, ...]] = []
+        self.opens: list[tuple[int, ...]] = []
+        self.moves: dict[int, int] = {}  # state << 8 | byte -> state, or ~state if ids are emitted
+        self.emitted: dict[int, tuple[int, ...]] = {}
+        self.rests: dict[int, tuple[int, ...]] = {}
+        self.start = self._state(-1, (), ())
+
+    def _state(self, before: int, chain: tuple[int, ...], opens: tuple[int, ...]) -> int:
+        if chain and (not opens or opens[0] >> _ROOM):
+            before = -1  # no token can begin right after it any more
+        key = before, chain, opens
+        found = self.numbers.get(key)
         if found is None:
-            found = self.states[key] = _State(before, pending, chain, open_)
+            found = self.numbers[key] = len(self.befores)
+            self.befores.append(before)
+            self.chains.append(chain)
+            self.opens.append(opens)
         return found
 
-    def merges(self, token: bytes) -> list[tuple[int, bytes, bytes]] | None:
+    def merges(self, token: int) -> list[tuple[int, bytes, bytes]] | None:
         """(rank, left edge, right edge) after each merge of the token's own bytes; None if they don't become it."""
         if token in self.history:
             return self.history[token]
-        parts, steps = [token[i : i + 1] for i in range(len(token))], []
+        data = self.entry[token]
+        parts, steps = [data[i : i + 1] for i in range(len(data))], []
         while len(parts) > 1:
             rank, i = min(((self.ranks.get(a + b, 1 << 40), i) for i, (a, b) in enumerate(zip(parts, parts[1:]))))
             if rank == 1 << 40:
@@ -86,17 +108,19 @@ class MergeTransducer:
             parts[i : i + 2] = [parts[i] + parts[i + 1]]
             steps.append((rank, parts[0], parts[-1]))
         self.history[token] = found = steps if len(parts) == 1 else None
-        if found is not None:
-            self.stable.add(token)
         return found
 
-    def adjacent(self, left: bytes, right: bytes) -> bool:
-        """Whether the two tokens stay apart when their bytes are encoded together."""
-        key = left, right
+    def adjacent(self, left: int, right: int) -> bool:
+        """Whether the two tokens encode to themselves and stay apart when their bytes are encoded together."""
+        key = left << 32 | right
         if key in self.beside:
             return self.beside[key]
-        a, b, i, j = self.merges(left), self.merges(right), 0, 0
-        edge, lead, never, apart = left[-1:], right[:1], 1 << 40, True
+        b = self.merges(right)
+        if b is None or left < 0:
+            self.beside[key] = b is not None
+            return b is not None
+        a, i, j = self.merges(left), 0, 0
+        edge, lead, never, apart = self.entry[left][-1:], self.entry[right][:1], 1 << 40, True
         while True:
             next_a = a[i][0] if i < len(a) else never
             next_b = b[j][0] if j < len(b) else never
@@ -114,68 +138,80 @@ class MergeTransducer:
         self.beside[key] = apart
         return apart
 
-    def _move(self, state: _State, byte: int) -> tuple[_State, tuple[int, ...]]:
-        pending = state.pending + bytes((byte,))
-        n, chain, stable, beside = len(pending), state.chain, self.stable, self.beside
-        starts = (*state.open, n - 1)  # a longer token can only begin where the bytes before began an entry
-        for start in starts:
-            token = pending[start:]
-            if token in self.ranks and (token in stable or self.merges(token) is not None):
-                previous = chain[start - 1][1] if start else state.before
-                apart = True if previous is None else beside.get((previous, token))
+    def _move(self, state: int, byte: int) -> int:
+        """The number under which the move is kept, once its ends are known."""
+        chain, trie, at, inner, beside = self.chains[state], self.trie, self.at, self.inner, self.beside
+        n, opens, last = len(chain), [], -1
+        for pair in (*self.opens[state], len(chain) << _ROOM):  # a longer token can only begin where an entry is begun
+            edge = (pair & _LOW) << 8 | byte
+            if edge not in trie:
+                continue
+            node = trie[edge]
+            start = pair >> _ROOM
+            if last < 0 and at[node] >= 0:  # of the tokens that end here the first that fits what is before it
+                token = at[node]
+                previous = chain[start - 1] & _LOW if start else self.befores[state]
+                apart = beside.get(previous << 32 | token)
                 if apart if apart is not None else self.adjacent(previous, token):
-                    break
-        chain = (*chain, (start, token))
-        open_ = tuple([k for k in starts if pending[k:] in self.openings])
+                    last = start << _ROOM | token
+            if inner[node]:
+                opens.append(start << _ROOM | node)
+        chain = (*chain, last)
         # ends from which one may go on, as bits; the last end that all of them have behind them is certain
-        live = 1 << n
-        for k in open_:
-            live |= 1 << k
+        live = 1 << n + 1
+        for pair in opens:
+            live |= 1 << (pair >> _ROOM)
         while live & (live - 1):
             top = live.bit_length() - 1
-            live = live ^ (1 << top) | 1 << chain[top - 1][0]
-        cut = live.bit_length() - 1
+            live = live ^ (1 << top) | 1 << (chain[top - 1] >> _ROOM)
+        cut, key = live.bit_length() - 1, state << 8 | byte
         if not cut:
-            found = self._state(state.before, pending, chain, open_), ()
+            found = self._state(self.befores[state], chain, tuple(opens))
         else:
-            emitted, end = [], cut
+            out, end = [], cut
             while end:
-                end, token = chain[end - 1]
-                emitted.append(self.ranks[token])
-            kept = tuple([(s - cut, t) for s, t in chain[cut:]])  # what began before the cut is never gone on from
-            found = self._state(chain[cut - 1][1], pending[cut:], kept, tuple([k - cut for k in open_])), tuple(reversed(emitted))
-        state.moves[byte] = found
+                pair = chain[end - 1]
+                out.append(pair & _LOW)
+                end = pair >> _ROOM
+            by = cut << _ROOM  # what began before the cut is never gone on from
+            kept = tuple([max(pair - by, 0) for pair in chain[cut:]])
+            found = ~self._state(chain[cut - 1] & _LOW, kept, tuple([pair - by for pair in opens]))
+            self.emitted[key] = tuple(reversed(out))
+        self.moves[key] = found
         return found
 
-    def _rest(self, state: _State) -> tuple[int, ...]:
-        path, end = [], len(state.pending)
+    def _rest(self, state: int) -> tuple[int, ...]:
+        chain, path = self.chains[state], []
+        end = len(chain)
         while end:
-            start, token = state.chain[end - 1]
-            path.append(self.ranks[token])
-            end = start
-        state.rest = tuple(reversed(path))
-        return state.rest
+            path.append(chain[end - 1] & _LOW)
+            end = chain[end - 1] >> _ROOM
+        self.rests[state] = found = tuple(reversed(path))
+        return found
 
     def encode(self, piece: bytes) -> list[int]:
-        if piece in self.ranks and self.merges(piece) is not None:
-            return [self.ranks[piece]]
-        if len(self.states) > MAX_STATES:
+        whole = self.ranks.get(piece)
+        if whole is not None and self.merges(whole) is not None:
+            return [whole]
+        if len(self.befores) > MAX_STATES:
             self._reset()
-            gc.collect()  # states refer to each other
-        if len(self.beside) > 10 * MAX_STATES:
+        if len(self.beside) > 4 * MAX_STATES:
             self.beside.clear()
-        state, out = self.start, []
+        state, out, moves = self.start, [], self.moves
         for byte in piece:
-            move = state.moves.get(byte) or self._move(state, byte)
-            state = move[0]
-            if move[1]:
-                out += move[1]
-        out += state.rest if state.rest is not None else self._rest(state)
+            key = state << 8 | byte
+            state = moves[key] if key in moves else self._move(state, byte)
+            if state < 0:
+                out += self.emitted[key]
+                state = ~state
+        rest = self.rests.get(state)
+        out += rest if rest is not None else self._rest(state)
         return out
 
 
 class StreamDecoder:
-    """Text from ids that come in parts.  Invalid bytes become U+FFFD, as ``bytes.decode(errors="replace")`` has it."""
+    """Text from ids that come in parts: the state between two parts is the begin of a character that is not complete.
+    Invalid bytes become U+FFFD in text, as ``bytes.decode(errors="replace")`` has it."""
 
     def __init__(self, vocabulary: list[bytes] | dict[int, bytes]):
         self.vocabulary, self.held = vocabulary, b""
@@ -198,18 +234,22 @@ class StreamDecoder:
             return back
         return 0
 
-    def bytes_of(self, ids: Iterable[int]) -> bytes:
-        return b"".join(map(self.vocabulary.__getitem__, ids))
-
-    def feed(self, ids: Iterable[int]) -> str:
-        data = self.held + self.bytes_of(ids)
+    def feed_bytes(self, ids: Iterable[int]) -> bytes:
+        """The bytes of the characters that are complete now."""
+        data = self.held + b"".join(map(self.vocabulary.__getitem__, ids))
         keep = self.unfinished(data)
         self.held = data[len(data) - keep :]
-        return data[: len(data) - keep].decode("utf-8", "replace")
+        return data[: len(data) - keep] if keep else data
+
+    def close_bytes(self) -> bytes:
+        data, self.held = self.held, b""
+        return data
+
+    def feed(self, ids: Iterable[int]) -> str:
+        return self.feed_bytes(ids).decode("utf-8", "replace")
 
     def close(self) -> str:
-        text, self.held = self.held.decode("utf-8", "replace"), b""
-        return text
+        return self.close_bytes().decode("utf-8", "replace")
 
 
 class TransducerCodec:
@@ -237,13 +277,14 @@ class TransducerCodec:
         return [i for match in self.matches(text) for i in self._ids(match)]
 
     def pieces(self, pieces: list[str]) -> list:
-        out, letters_match, ids_of, whole = [], self.letters_match, self._ids, self.whole
+        out, letters_match, ids_of, known, whole = [], self.letters_match, self._ids, self.known, self.whole
         for piece in pieces:
             core = piece[1:] if piece[:1] == " " else piece
             if letters_match and core.isalpha() and (core.isascii() or max(core) <= "\xff"):
-                out.append(ids_of(piece))
+                out.append(known[piece] if piece in known else ids_of(piece))
             elif letters_match and core[-1:] in ",." and core[:-1].isalpha() and (core.isascii() or max(core) <= "\xff"):
-                out.append(ids_of(piece[:-1]) + ids_of(core[-1]))
+                word = piece[:-1]
+                out.append((known[word] if word in known else ids_of(word)) + ids_of(core[-1]))
             else:
                 out.append(whole(piece))
         return out
@@ -256,9 +297,9 @@ class _DecimalEncoder(PieceEncoder):
         super()._reset()
         self.decimal: list[str] = []
 
-    def _learn(self, pieces: list[str]) -> None:
+    def _add(self, pieces: list[str], sizes, flat) -> None:
         at = len(self.number)
-        super()._learn(pieces)
+        super()._add(pieces, sizes, flat)
         for k in range(at, len(self.number)):
             a = self.first[k]
             self.decimal.append(",".join(map(str, self.ids[a : a + self.count[k]].tolist())))
@@ -304,8 +345,14 @@ def round_trip_digests(docs: DataFrame, path: str, pattern: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = codec(path, pattern)
-        decode = StreamDecoder(encoder.codec.vocabulary).bytes_of
-        digest = lambda data: hashlib.sha256(data).hexdigest()
+        stream = StreamDecoder(encoder.codec.vocabulary)
+
+        def decoded(ids: list[int]) -> str:
+            digest = hashlib.sha256()
+            for a in range(0, len(ids), FEED):
+                digest.update(stream.feed_bytes(ids[a : a + FEED]))
+            digest.update(stream.close_bytes())
+            return digest.hexdigest()
 
         def of_run(part: pa.Array, regular: bool) -> Iterator[tuple[list[int], str]]:
             if not regular:
@@ -322,7 +369,7 @@ def round_trip_digests(docs: DataFrame, path: str, pattern: str) -> DataFrame:
 
         for batch in batches:
             for row, part, regular in encoder.runs(batch["text"]):
-                rows = [(len(ids), digest(text.encode()), digest(decode(ids))) for ids, text in of_run(part, regular)]
+                rows = [(len(ids), hashlib.sha256(text.encode()).hexdigest(), decoded(ids)) for ids, text in of_run(part, regular)]
                 columns = [pa.array(c, t) for c, t in zip(zip(*rows), DIGEST.types[1:])]
                 yield pa.RecordBatch.from_arrays([batch["doc_id"].slice(row, len(rows)).cast(pa.int64()), *columns], schema=DIGEST)
 

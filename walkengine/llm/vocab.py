@@ -23,10 +23,11 @@ import pyarrow.compute as pc
 #: The white space of Unicode, as a class of RE2.
 _SPACE = r"[\t-\r \x{85}\x{A0}\x{1680}\x{2000}-\x{200A}\x{2028}\x{2029}\x{202F}\x{205F}\x{3000}]"
 IRREGULAR = rf" {_SPACE}|{_SPACE} |[\x{{1c}}-\x{{1f}}\x{{85}}\x{{180e}}\x{{200b}}\x{{feff}}]"
-#: Pieces that a worker keeps; beyond it the cache starts anew (a matter of memory, not of results).
-CACHE_PIECES = 600_000
+#: Pieces that a worker keeps; beyond it only those that came in several slices of text stay, at most half as many (a
+#: matter of memory, not of results).
+CACHE_PIECES = 250_000
 #: Bytes of text that are split at once.
-SLICE_BYTES = 8 << 20
+SLICE_BYTES = 4 << 20
 
 
 def worker_state(key: tuple, make):
@@ -67,7 +68,7 @@ def byte_slices(texts: pa.Array, limit: int = SLICE_BYTES) -> Iterator[tuple[int
 SPACED_CUT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 WORD_CUT = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
 #: Cut words that a worker keeps.
-CACHE_WORDS = 400_000
+CACHE_WORDS = 200_000
 
 
 def _byte_letters() -> dict[int, str]:
@@ -139,22 +140,39 @@ class PieceEncoder:
         self.ids = np.zeros(1 << 16, np.uint32)
         self.first = np.zeros(1 << 15, np.int64)  # where the ids of a piece begin
         self.count = np.zeros(1 << 15, np.int64)
+        self.uses = np.zeros(1 << 15, np.int32)  # in how many slices a piece came
         self.used = 0
 
+    def _trim(self) -> None:
+        """Forgets what came in one slice alone, and the least used half where that is still too much."""
+        n = len(self.number)
+        uses = self.uses[:n]
+        stay = uses >= max(2, int(np.partition(uses, n - CACHE_PIECES // 2)[n - CACHE_PIECES // 2]))
+        chosen = np.flatnonzero(stay)[: CACHE_PIECES // 2]
+        size = self.count[chosen]
+        ends = np.cumsum(size)
+        place = np.repeat(self.first[chosen] - (ends - size), size) + np.arange(ends[-1] if len(ends) else 0)
+        pieces, ids, uses = list(self.number), self.ids[place], uses[chosen] // 2
+        self._reset()
+        self._add([pieces[i] for i in chosen.tolist()], size, ids)
+        self.uses[: len(chosen)] = uses
+
     def _learn(self, pieces: list[str]) -> None:
         ids = self.codec.pieces(pieces)
         sizes = np.fromiter(map(len, ids), np.int64, len(ids))
-        flat = np.fromiter(chain.from_iterable(ids), np.uint32, int(sizes.sum()))
-        n = len(self.number)
+        self._add(pieces, sizes, np.fromiter(chain.from_iterable(ids), np.uint32, int(sizes.sum())))
+
+    def _add(self, pieces: list[str], sizes: np.ndarray, flat: np.ndarray) -> None:
+        n, more = len(self.number), len(pieces)
         while self.used + len(flat) > len(self.ids):
             self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
-        while n + len(ids) > len(self.first):
-            self.first, self.count = (np.concatenate([x, np.zeros_like(x)]) for x in (self.first, self.count))
+        while n + more > len(self.first):
+            self.first, self.count, self.uses = (np.concatenate([x, np.zeros_like(x)]) for x in (self.first, self.count, self.uses))
         self.ids[self.used : self.used + len(flat)] = flat
-        self.first[n : n + len(ids)] = self.used + np.cumsum(sizes) - sizes
-        self.count[n : n + len(ids)] = sizes
+        self.first[n : n + more] = self.used + np.cumsum(sizes) - sizes
+        self.count[n : n + more] = sizes
         self.used += len(flat)
-        self.number.update(zip(pieces, range(n, n + len(ids))))
+        self.number.update(zip(pieces, range(n, n + more)))
 
     def _numbers(self, pieces: list[str]) -> np.ndarray:
         known = self.number
@@ -167,13 +185,14 @@ class PieceEncoder:
     def piece_numbers(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(numbers of pieces in this encoder, bounds by text) of texts with regular white space."""
         if len(self.number) > CACHE_PIECES:
-            self._reset()
+            self._trim()
         lists = pc.split_pattern(texts, " ")
         bounds = np.asarray(lists.offsets).astype(np.int64)
         bounds -= bounds[0]
         coded = lists.flatten().dictionary_encode()
         lead = " " if self.spaced else ""
         of_word = self._numbers([lead + w for w in coded.dictionary.to_pylist()])
+        self.uses[of_word] += 1  # each number once
         number = of_word[np.asarray(coded.indices)]
         if self.spaced:  # the first piece of a text has no space before it
             words = coded.dictionary.take(coded.indices.take(pa.array(bounds[:-1]))).to_pylist()
