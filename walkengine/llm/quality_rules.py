@@ -72,57 +72,59 @@ def _exact_starts(words: Column) -> Column:
     return let(F.array_sort(F.transform(F.sequence(F.lit(0), F.size(words) - 3), window)), of)
 
 
-def measured(docs: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
-    """doc_id, ``keep`` and the counts of every whole text.
+def measured(docs: DataFrame, rest: str | None = None) -> DataFrame:
+    """doc_id and the counts of every whole text (and the column ``rest``, untouched).
 
     Each step is a projection whose columns the next one uses several times, so Spark computes them once.  Windows are
-    compared by one primitive sort of (40 bits of the hash, place); a text in which two windows share these bits but
-    not the whole hash is sorted window by window instead.
+    compared by one primitive sort of (40 bits of the hash, place); where two neighbours share these bits but not their
+    words, the text's windows are sorted as words instead.  The counts leave by a generator of one row: a filter on them
+    can't be pushed below it, where Spark would compute every step again for each use.
     """
     none = F.array().cast("array<long>")
     place = (1 << _PLACE) - 1
-    rows = only(docs, "doc_id", "text").select("doc_id", whole_text().alias("text")) if not keep else docs
+    through = (rest,) if rest else ()
+    rows = docs.select("doc_id", *through, whole_text().alias("text"))
+    gone = lambda chars: F.length("text") - F.length(F.translate("text", chars, ""))
     rows = rows.select(
-        "doc_id", *keep, "text", words_of(F.col("text")).alias("words"),
+        "doc_id", *through, gone(SYMBOLS).cast("long").alias("n_symbols"), words_of(F.col("text")).alias("words"),
         F.filter(F.split("text", "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]")).alias("lines"),
     )
-    word = F.col("words")
-    windows = F.transform(F.sequence(F.lit(0), F.size("words") - 3), lambda i: F.xxhash64(word[i], word[i + 1], word[i + 2]))
-    rows = rows.select("*", F.when(F.size("words") >= 3, windows).otherwise(none).alias("hashes"))
-    key = lambda h, i: h.bitwiseAND(F.lit(~place)).bitwiseOR(i.cast("long"))
-    rows = rows.select("*", F.sort_array(F.transform("hashes", key)).alias("keys"))
-    keys, hashes = F.col("keys"), F.col("hashes")
+    word, lines = F.col("words"), F.col("lines")
+    rows = rows.select(
+        "doc_id", *through, "n_symbols", "words",
+        F.size(lines).cast("long").alias("n_lines"),
+        (F.size(lines) - F.size(F.array_distinct(lines))).cast("long").alias("n_dup_lines"),
+        F.size(F.filter(lines, lambda x: x.rlike(r"^\s*[-*•]"))).alias("n_bullet_lines"),
+        F.size(F.filter(lines, lambda x: x.rlike(r"(\.\.\.|…)\s*$"))).alias("n_ellipsis_lines"),
+        F.size(F.filter(word, lambda w: w.isin(STOP_WORDS))).alias("n_stop_words"),
+        F.size(F.filter(word, lambda w: (F.upper(w) == w) & (F.lower(w) != w))).alias("n_upper_words"),
+        F.length(F.array_join(word, "")).cast("long").alias("word_chars"),
+        F.size(word).cast("long").alias("n_words"),
+    )
+    done = ["n_symbols", "n_lines", "n_dup_lines", "n_bullet_lines", "n_ellipsis_lines", "n_stop_words", "n_upper_words", "word_chars", "n_words"]
+    key = lambda i: F.xxhash64(word[i], word[i + 1], word[i + 2]).bitwiseAND(F.lit(~place)).bitwiseOR(i.cast("long"))
+    windows = F.sort_array(F.transform(F.sequence(F.lit(0), F.size(word) - 3), key))
+    rows = rows.select("doc_id", *through, *done, "words", F.when(F.size(word) >= 3, windows).otherwise(none).alias("keys"))
+    keys = F.col("keys")
     begin = lambda k: F.shiftright(k, _PLACE)
     at = lambda k: k.bitwiseAND(F.lit(place)).cast("int")
     before = lambda k, j: F.when(j > 0, begin(keys[j - 1]) == begin(k)).otherwise(False)
     after = lambda k, j: F.when(j < F.size(keys) - 1, begin(keys[j + 1]) == begin(k)).otherwise(False)
-    rows = rows.select("*", F.filter(keys, lambda k, j: before(k, j) | after(k, j)).alias("repeats"))
+    rows = rows.select("doc_id", *through, *done, "words", F.filter(keys, lambda k, j: before(k, j) | after(k, j)).alias("repeats"))
     repeats = F.col("repeats")
-    mixed = lambda k, j: F.when(
-        (j > 0) & (begin(repeats[F.greatest(j - 1, F.lit(0))]) == begin(k)),
-        hashes[at(k)] != hashes[at(repeats[F.greatest(j - 1, F.lit(0))])],
-    ).otherwise(False)
-    rows = rows.select("*", (F.size(F.filter(repeats, mixed)) > 0).alias("mixed"))
-    starts = F.when(F.col("mixed") | (F.size("words") > place), _exact_starts(word)).otherwise(
+
+    def differs(k: Column, j: Column) -> Column:
+        last = repeats[F.greatest(j - 1, F.lit(0))]
+        other = reduce(lambda x, y: x | y, (word[at(k) + d] != word[at(last) + d] for d in range(3)))
+        return F.when((j > 0) & (begin(last) == begin(k)), other).otherwise(False)
+
+    rows = rows.select("doc_id", *through, *done, "words", "repeats", F.exists(F.transform(repeats, differs), lambda x: x).alias("mixed"))
+    starts = F.when(F.col("mixed") | (F.size(word) > place), _exact_starts(word)).otherwise(
         F.sort_array(F.transform(repeats, lambda k: k.bitwiseAND(F.lit(place))))
     )
-    gone = lambda chars: F.length("text") - F.length(F.translate("text", chars, ""))
-    return rows.select(
-        "doc_id",
-        *keep,
-        "text",
-        "words",
-        F.size("words").cast("long").alias("n_words"),
-        F.length(F.array_join("words", "")).cast("long").alias("word_chars"),
-        gone(SYMBOLS).cast("long").alias("n_symbols"),
-        F.size("lines").cast("long").alias("n_lines"),
-        (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines"),
-        F.when(F.size("repeats") > 0, _covered(starts)).otherwise(F.lit(0).cast("long")).alias("n_repeat_words"),
-        F.size(F.filter("words", lambda w: w.isin(STOP_WORDS))).alias("n_stop_words"),
-        F.size(F.filter("words", lambda w: (F.upper(w) == w) & (F.lower(w) != w))).alias("n_upper_words"),
-        F.size(F.filter("lines", lambda x: x.rlike(r"^\s*[-*•]"))).alias("n_bullet_lines"),
-        F.size(F.filter("lines", lambda x: x.rlike(r"(\.\.\.|…)\s*$"))).alias("n_ellipsis_lines"),
-    )
+    repeated = F.when(F.size(repeats) > 0, _covered(starts)).otherwise(F.lit(0).cast("long"))
+    counts = F.struct("doc_id", *through, *done, repeated.alias("n_repeat_words"))
+    return rows.select(F.inline(F.array(counts)))
 
 
 def ratios() -> dict[str, Column]:
@@ -160,15 +162,13 @@ def _judged(rows: DataFrame, rules: tuple[Rule, ...], *columns: str) -> DataFram
 
 def judge(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """One row per document: counts, ratios, base_failed, failed rules and the verdict ``kept``."""
-    return _judged(measured(docs).drop("text", "words"), rules, "*")
+    return _judged(measured(only(docs, "doc_id", "text")), rules, "*")
 
 
 def filter_documents(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
-    """The documents that pass, with their own columns; no shuffle, as the verdict is computed in the scan.  The rows
-    leave by a generator, since a filter would be pushed below the projections and compute them again."""
-    bound = docs.select(F.col("doc_id"), whole_text().alias("text"), F.struct("*").alias("_row"))
-    judged = _judged(measured(bound, ("_row",)), rules, "_row")
-    return judged.select(F.inline(F.when(F.col("kept"), F.array("_row"))))
+    """The documents that pass, with their own columns; no shuffle, as the verdict is computed in the scan."""
+    bound = docs.select("doc_id", "text", F.struct("*").alias("_row"))
+    return _judged(measured(bound, "_row"), rules, "_row").where("kept").select("_row.*")
 
 
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -25,9 +25,9 @@ _SPACE = r"[\t-\r \x{85}\x{A0}\x{1680}\x{2000}-\x{200A}\x{2028}\x{2029}\x{202F}\
 IRREGULAR = rf" {_SPACE}|{_SPACE} |[\x{{1c}}-\x{{1f}}\x{{85}}\x{{180e}}\x{{200b}}\x{{feff}}]"
 #: Pieces that a worker keeps; beyond it only those that came in several slices of text stay, at most half as many (a
 #: matter of memory, not of results).
-CACHE_PIECES = 250_000
+CACHE_PIECES = 200_000
 #: Bytes of text that are split at once.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 2 << 20
 
 
 def worker_state(key: tuple, make):
@@ -68,7 +68,7 @@ def byte_slices(texts: pa.Array, limit: int = SLICE_BYTES) -> Iterator[tuple[int
 SPACED_CUT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 WORD_CUT = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
 #: Cut words that a worker keeps.
-CACHE_WORDS = 200_000
+CACHE_WORDS = 150_000
 
 
 def _byte_letters() -> dict[int, str]:
