@@ -25,7 +25,7 @@ from walkengine.llm.common import only, read_table
 #: Element names by their part in the layout.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title xmp iframe noembed noframes".split())
-UNSEEN = frozenset("head script style title meta link base template noscript iframe noembed noframes object audio video canvas svg math datalist".split())
+UNSEEN = frozenset("head script style title meta link base template noscript iframe noembed noframes object audio video canvas datalist metadata desc defs annotation annotation-xml".split())
 BLOCK = frozenset(
     "html body address article aside blockquote center dd details dialog dir div dl dt fieldset figcaption figure footer form "
     "h1 h2 h3 h4 h5 h6 header hgroup hr legend li main menu nav ol p pre search section summary table ul option optgroup".split()
@@ -60,6 +60,8 @@ _TAG = re.compile(
 )
 _ATTRIBUTE = re.compile(r"([^\s=/\"'>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?")
 _SHEET_RULE = re.compile(r"([^{}]+)\{[^{}]*display\s*:\s*none[^{}]*\}", re.I)
+_MEDIA = re.compile(r"@media([^{}]*)\{((?:[^{}]*\{[^{}]*\})*)[^{}]*\}", re.I)
+_NUMBER = re.compile(r"\s*([+-]?[0-9]{1,9})(?![0-9])")
 _HIDDEN_STYLE = re.compile(r"display\s*:\s*none|visibility\s*:\s*(?:hidden|collapse)", re.I)
 _GAP = re.compile(r"[ \t\n\r\f]+")
 
@@ -147,10 +149,18 @@ def _until(stack: list[Node], barrier) -> Iterator[Node]:
         yield node
 
 
+def _number(text: str, default: int) -> int:
+    """The number that an attribute begins with; the default where it begins with none or with more than nine digits."""
+    found = _NUMBER.match(text)
+    return int(found[1]) if found else default
+
+
 def hidden_selectors(sheets: list[str]) -> set[str]:
-    """Selectors of one class, id or tag that a sheet never shows."""
+    """Selectors of one class, id or tag that a sheet never shows on a screen.  Rules under a media query with a condition
+    or for another medium are passed over, since they hold for some readers alone."""
     found = set()
     for sheet in sheets:
+        sheet = _MEDIA.sub(lambda m: m[2] if m[1].strip().lower() in ("", "all", "screen", "only screen") else "", sheet)
         for names in _SHEET_RULE.findall(sheet):
             found |= {s.strip() for s in names.split(",") if re.fullmatch(r"[.#]?[\w-]+", s.strip())}
     return found
@@ -206,8 +216,9 @@ class _Page:
         self.blank = True
 
 
-def _render(root: Node, unseen: set[str]) -> list[str]:
-    """Walks the tree with a stack of its own, so depth is bounded by memory alone."""
+def _render(root: Node, unseen: set[str], tables: dict[int, list[str]]) -> list[str]:
+    """Walks the tree with a stack of its own, so depth is bounded by memory alone; ``tables`` has the lines of the
+    tables below, which are laid out before."""
     page = _Page(unseen)
     work: list[tuple] = [("open", root, False, [])]
     while work:
@@ -229,7 +240,7 @@ def _render(root: Node, unseen: set[str]) -> list[str]:
             continue
         if name == "table":
             page.gap()
-            for line in _table(node, unseen):
+            for line in tables[id(node)]:
                 page.lines += [""] * bool(page.blank and page.lines and page.lines[-1])
                 page.blank = False
                 page.lines.append((page.lead or page.indent) + line)
@@ -241,8 +252,7 @@ def _render(root: Node, unseen: set[str]) -> list[str]:
             page.gap() if spaced else page.flush(keep)
             ended = _Page.gap if spaced else _Page.flush
             if name in ("ul", "ol", "menu", "dir"):
-                start = node.attributes.get("start", "1")
-                lists = [*lists, [name == "ol", int(start) - 1 if start.lstrip("-").isdecimal() else 0]]
+                lists = [*lists, [name == "ol", _number(node.attributes.get("start", "1"), 1) - 1]]
             elif name == "li":
                 counter = lists[-1] if lists else [False, 0]
                 counter[1] += 1
@@ -272,30 +282,48 @@ def _render(root: Node, unseen: set[str]) -> list[str]:
 def _rows(table: Node, unseen: set[str]) -> Iterator[tuple[str, list[Node]]]:
     """Captions and rows in order; cells without a row are a row of their own."""
     loose: list[Node] = []
-    for child in table.children:
-        if isinstance(child, str):
+    open_parts = [iter(table.children)]
+    while open_parts:
+        child = next(open_parts[-1], None)
+        if child is None:
+            open_parts.pop()
+            if loose:
+                yield "row", loose
+                loose = []
+        elif isinstance(child, str):
             if child.strip():
                 loose.append(child)
+        elif not _visible(child, unseen):
             continue
-        if not _visible(child, unseen):
-            continue
-        if child.name in ("td", "th"):
+        elif child.name in ("td", "th"):
             loose.append(child)
-            continue
-        if loose:
-            yield "row", loose
-            loose = []
-        if child.name == "tr":
-            yield "row", [c for c in child.children if not isinstance(c, str) or c.strip()]
-        elif child.name in ("thead", "tbody", "tfoot"):
-            yield from _rows(child, unseen)
-        elif child.name not in ("colgroup", "col"):
-            yield "caption", [child]
-    if loose:
-        yield "row", loose
-
-
-def _table(table: Node, unseen: set[str]) -> list[str]:
+        else:
+            if loose:
+                yield "row", loose
+                loose = []
+            if child.name == "tr":
+                yield "row", [c for c in child.children if not isinstance(c, str) or c.strip()]
+            elif child.name in ("thead", "tbody", "tfoot"):
+                open_parts.append(iter(child.children))
+            elif child.name not in ("colgroup", "col"):
+                yield "caption", [child]
+
+
+def _laid_out(root: Node, unseen: set[str]) -> dict[int, list[str]]:
+    """The lines of every table, inner ones first."""
+    found, work = [], [root]
+    while work:
+        node = work.pop()
+        if node.name == "table":
+            found.append(node)
+        work.extend(c for c in node.children if not isinstance(c, str))
+    tables: dict[int, list[str]] = {}
+    for node in reversed(found):  # a table is found before the tables in it
+        tables[id(node)] = _table(node, unseen, tables)
+    return tables
+
+
+def _table(table: Node, unseen: set[str], tables: dict[int, list[str]]) -> list[str]:
     grid: list[tuple[str, list[str]]] = []
     for kind, cells in _rows(table, unseen):
         texts = []
@@ -305,9 +333,8 @@ def _table(table: Node, unseen: set[str]) -> list[str]:
             elif _visible(cell, unseen):
                 inner = Node("#cell", {})
                 inner.children = cell.children
-                texts.append(" ".join(x.strip() for x in _render(inner, unseen) if x))
-                span = cell.attributes.get("colspan", "1")
-                texts += [""] * (min(int(span), 1000) - 1 if span.isdecimal() else 0)
+                texts.append(" ".join(x.strip() for x in _render(inner, unseen, tables) if x))
+                texts += [""] * (min(_number(cell.attributes.get("colspan", "1"), 1), 1000) - 1)
         if any(texts):
             grid.append((kind, texts))
     width: list[int] = []
@@ -326,7 +353,8 @@ def _table(table: Node, unseen: set[str]) -> list[str]:
 def render(page: str | None) -> str:
     """The visible text of a page."""
     root, sheets = parse(page or "")
-    return "\n".join(_render(root, hidden_selectors(sheets))).strip("\n")
+    unseen = hidden_selectors(sheets)
+    return "\n".join(_render(root, unseen, _laid_out(root, unseen))).strip("\n")
 
 
 def extract(pages: DataFrame, key: str = "page_id", markup: str = "html") -> DataFrame:
