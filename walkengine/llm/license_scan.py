@@ -11,7 +11,7 @@ literal set, so only document k-grams that hit leave the scan.  Phrases are temp
 all their k-grams (k = 2) on one diagonal.
 
 A null text counts as empty.  Documents without words or places get 0 counts, null positions, empty labels and
-score 0.  Rows are grouped by doc_id: rows that repeat a doc_id must be the same document.
+score 0.  Rows are scanned one by one: a null doc_id or one that other rows have (with any text) changes nothing.
 """
 
 from __future__ import annotations
@@ -92,29 +92,30 @@ def _hits(docs: DataFrame, table: DataFrame) -> DataFrame:
         return F.struct(F.size(words).cast("long").alias("n_words"), F.concat(*parts).alias("hits"))
 
     words = words_of(lower_ascii(whole_text()), GAP)
-    return only(docs, "doc_id", "text").select("doc_id", let(words, rolling).alias("found")).select("doc_id", "found.*")
+    row = F.monotonically_increasing_id().alias("row")  # fixed by the staging that follows
+    return only(docs, "doc_id", "text").select(row, "doc_id", let(words, rolling).alias("found")).select("row", "doc_id", "found.*")
 
 
 def spans(docs: DataFrame, table: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
-    """(documents, places).  documents: doc_id, n_words; places: doc_id, template, label, phrase, first, last, score."""
+    """(documents, places).  documents: row, doc_id, n_words; places: row, template, label, phrase, first, last, score."""
     table = template_positions(docs.sparkSession) if table is None else table
     found = staged(_hits(docs, table), "license-hits")  # a few k-grams of each text; read twice below
-    gram = found.where(F.size("hits") > 0).select("doc_id", F.explode("hits").alias("g")).select(
-        "doc_id", F.col("g.i").alias("i"), F.col("g.gram").alias("doc_gram"), F.xxhash64("g.k", "g.gram").alias("hash")
+    gram = found.where(F.size("hits") > 0).select("row", F.explode("hits").alias("g")).select(
+        "row", F.col("g.i").alias("i"), F.col("g.gram").alias("doc_gram"), F.xxhash64("g.k", "g.gram").alias("hash")
     )
     votes = (
         gram.join(F.broadcast(table), "hash")
         .where("doc_gram = gram")
-        .groupBy("doc_id", "template", "label", "k", "n_grams", (F.col("i") - F.col("pos")).alias("diagonal"))
+        .groupBy("row", "template", "label", "k", "n_grams", (F.col("i") - F.col("pos")).alias("diagonal"))
         .agg(F.collect_set("pos").alias("held"), F.min("i").alias("first"), F.max("i").alias("last"))
     )
     phrases = votes.where((F.col("k") == PHRASE_K) & (F.size("held") == F.col("n_grams")))
-    along = W.partitionBy("doc_id", "template").orderBy("diagonal")
+    along = W.partitionBy("row", "template").orderBy("diagonal")
     merged = (
         votes.where(F.col("k") == TEMPLATE_K)
         .withColumn("gap", F.col("diagonal") - F.lag("diagonal").over(along))
         .withColumn("alignment", F.sum(F.when(F.col("gap") <= DRIFT, 0).otherwise(1)).over(along))
-        .groupBy("doc_id", "template", "label", "k", "n_grams", "alignment")
+        .groupBy("row", "template", "label", "k", "n_grams", "alignment")
         .agg(
             F.array_distinct(F.flatten(F.collect_list("held"))).alias("held"),
             F.min("first").alias("first"),
@@ -122,10 +123,10 @@ def spans(docs: DataFrame, table: DataFrame | None = None) -> tuple[DataFrame, D
         )
         .where(F.size("held") >= LEAST_SHARE * F.col("n_grams"))
     )
-    columns = [F.col("doc_id"), F.col("template"), F.col("label"), (F.col("k") == PHRASE_K).alias("phrase")]
+    columns = [F.col("row"), F.col("template"), F.col("label"), (F.col("k") == PHRASE_K).alias("phrase")]
     columns += [F.col("first").cast("long"), (F.col("last") + F.col("k") - 1).cast("long").alias("last")]
     columns += [(F.size("held") / F.col("n_grams")).alias("score")]
-    return found.select("doc_id", "n_words"), phrases.select(*columns).unionByName(merged.select(*columns))
+    return found.select("row", "doc_id", "n_words"), phrases.select(*columns).unionByName(merged.select(*columns))
 
 
 def scan(docs: DataFrame) -> DataFrame:
@@ -133,7 +134,7 @@ def scan(docs: DataFrame) -> DataFrame:
     found, places = spans(docs)
     base = F.col("phrase")
     joined = lambda c: F.array_join(F.array_sort(F.collect_set(c)), ",")
-    by_doc = places.groupBy("doc_id").agg(
+    by_doc = places.groupBy("row").agg(
         F.count_if(base).alias("n_base"),
         F.min(F.when(base, F.col("first"))).alias("first_word"),
         F.max(F.when(base, F.col("first"))).alias("last_word"),
@@ -141,7 +142,7 @@ def scan(docs: DataFrame) -> DataFrame:
         joined("label").alias("labels"),
         F.max("score").alias("score"),
     )
-    return found.join(by_doc, "doc_id", "left").select(
+    return found.join(by_doc, "row", "left").select(
         "doc_id",
         "n_words",
         F.coalesce("n_base", F.lit(0).cast("long")).alias("n_base"),
