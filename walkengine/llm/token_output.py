@@ -5,11 +5,12 @@ its own, compressed with a dictionary that was trained on serialised id arrays,
 doc_id order.  Files hold blocks: the dictionary's hash, an index (doc_id, offset, number of ids), and the frames.
 A reader finds a document by its block's first id and the offset index, and decompresses that frame alone.
 
-The dictionary is trained on at most ``SAMPLE_DOCS`` documents, those with the smallest hash of their id (a bound on
-the trainer's memory; every document is encoded, written and indexed).  Without enough samples it is empty.
+The dictionary is trained on at most ``SAMPLE_DOCS`` whole documents, those with the smallest hash of their id, as far
+as ``SAMPLE_CHARS`` characters go (a bound on the trainer's memory; every document is encoded, written and indexed).
+Without enough samples it is empty.
 
-A null text counts as empty and has the end id only.  Rows are ordered by doc_id; rows that share one stay side by
-side.  An empty table gives no rows.  Extra columns are not read.
+A null text counts as empty and has the end id only.  Rows are ordered by doc_id, null ids first; rows that share one
+stay side by side.  An empty table gives no rows.  Extra columns are not read.
 """
 
 from __future__ import annotations
@@ -27,7 +28,7 @@ from pyspark.sql import functions as F
 from walkengine.llm.common import only, read_table, shuffle_partitions, staged
 from walkengine.llm.vocab import library_encoder, load_tokenizer
 
-SAMPLE_DOCS, DICTIONARY_BYTES, LEVEL = 1000, 64 << 10, 3
+SAMPLE_DOCS, SAMPLE_CHARS, DICTIONARY_BYTES, LEVEL = 1000, 16 << 20, 64 << 10, 3
 #: Bytes of frames in a block.
 BLOCK_BYTES = 1 << 20
 END_ID = 0
@@ -58,8 +59,14 @@ def _width(path: str) -> int:
 def sample_dictionary(docs: DataFrame, path: str, end_id: int = END_ID) -> bytes:
     """Trains on the documents whose id has one of the smallest hashes."""
     order = F.xxhash64(F.lit(7), "doc_id")
-    chosen = [r.doc_id for r in only(docs, "doc_id").where("doc_id IS NOT NULL").orderBy(order, "doc_id").limit(SAMPLE_DOCS).collect()]
-    texts = only(docs, "doc_id", "text").where(F.col("doc_id").isin(chosen)).select(F.substring("text", 1, 20_000))
+    sized = only(docs, "doc_id", "text").where("doc_id IS NOT NULL").select("doc_id", F.coalesce(F.length("text"), F.lit(0)).alias("n"))
+    chosen, room = [], SAMPLE_CHARS
+    for r in sized.orderBy(order, "doc_id", "n").limit(SAMPLE_DOCS).collect():
+        if r.n <= room:
+            chosen.append(r.doc_id)
+            room -= r.n
+    texts = only(docs, "doc_id", "text").where(F.col("doc_id").isin(chosen)).select("doc_id", "text")
+    texts = texts.dropDuplicates(["doc_id"]).select("text")
     tokenizer, kind = load_tokenizer(path), f"<u{_width(path)}"
     texts = [r[0] or "" for r in texts.collect()]
     return train_dictionary(
@@ -69,11 +76,11 @@ def sample_dictionary(docs: DataFrame, path: str, end_id: int = END_ID) -> bytes
 
 FRAME = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("frame", pa.binary())])
 BLOCK_DDL = (
-    "shard int, block int, first_id long, n_docs int, start long, n_tokens long, id_bytes int, dictionary string, "
+    "shard int, block int, first_id long, n_docs int, n_null int, start long, n_tokens long, id_bytes int, dictionary string, "
     "index binary, frames binary"
 )
 BLOCK = pa.schema(
-    [("shard", pa.int32()), ("block", pa.int32()), ("first_id", pa.int64()), ("n_docs", pa.int32())]
+    [("shard", pa.int32()), ("block", pa.int32()), ("first_id", pa.int64()), ("n_docs", pa.int32()), ("n_null", pa.int32())]
     + [("start", pa.int64()), ("n_tokens", pa.int64()), ("id_bytes", pa.int32()), ("dictionary", pa.string())]
     + [("index", pa.binary()), ("frames", pa.binary())]
 )
@@ -112,13 +119,14 @@ def write_shards(docs: DataFrame, path: str, end_id: int = END_ID, spaced: bool
 
         def close() -> pa.RecordBatch:
             offsets = np.cumsum([0, *map(len, held)])[:-1]
-            index = np.array([ids, offsets, sizes], "<i8").tobytes()
-            row = [shard, block, ids[0], len(ids), start, sum(sizes), width, name, index, b"".join(held)]
+            known = [i for i in ids if i is not None]  # null ids come first and are written as 0
+            index = np.array([[0] * (len(ids) - len(known)) + known, offsets, sizes], "<i8").tobytes()
+            row = [shard, block, known[0] if known else None, len(ids), len(ids) - len(known), start, sum(sizes), width, name, index, b"".join(held)]
             return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, BLOCK.types)], schema=BLOCK)
 
         for batch in batches:
             for doc_id, n, frame in zip(*(batch[c].to_pylist() for c in ("doc_id", "n_tokens", "frame"))):
-                ids.append(-1 if doc_id is None else doc_id)
+                ids.append(doc_id)
                 sizes.append(n)
                 held.append(frame)
                 weight += len(frame)
@@ -129,17 +137,18 @@ def write_shards(docs: DataFrame, path: str, end_id: int = END_ID, spaced: bool
         if ids:
             yield close()
 
-    ordered = coded.repartitionByRange(shuffle_partitions(docs.sparkSession), "doc_id").sortWithinPartitions("doc_id")
+    ordered = coded.repartitionByRange(shuffle_partitions(docs.sparkSession), F.asc_nulls_first("doc_id")).sortWithinPartitions(F.asc_nulls_first("doc_id"))
     return staged(ordered.mapInArrow(blocks, BLOCK_DDL), "token-shards"), dictionary
 
 
-def read_block(index: bytes, n_docs: int, data: bytes, width: int, dictionary: bytes) -> Iterator[tuple[int, np.ndarray]]:
+def read_block(index: bytes, n_docs: int, n_null: int, data: bytes, width: int, dictionary: bytes) -> Iterator[tuple[int | None, np.ndarray]]:
     """(doc_id, ids) of a block's documents; each frame is decompressed alone."""
     import zstandard
 
     unpack = zstandard.ZstdDecompressor(dict_data=_dictionary(dictionary))
     ids, offsets, sizes = np.frombuffer(index, "<i8").reshape(3, n_docs).tolist()
     view = memoryview(data)
+    ids[:n_null] = [None] * n_null
     for doc_id, a, b, n in zip(ids, offsets, [*offsets[1:], len(data)], sizes):
         yield doc_id, np.frombuffer(unpack.decompress(view[a:b], max_output_size=n * width), f"<u{width}")
 
@@ -147,7 +156,7 @@ def read_block(index: bytes, n_docs: int, data: bytes, width: int, dictionary: b
 def read_document(blocks: DataFrame, dictionary: bytes, doc_id: int) -> np.ndarray | None:
     """The ids of one document: the block that may hold it is found by a pushed-down filter and its index."""
     row = blocks.where(F.col("first_id") <= doc_id).orderBy(F.desc("first_id")).limit(1).collect()
-    found = dict(read_block(row[0]["index"], row[0]["n_docs"], row[0]["frames"], row[0]["id_bytes"], dictionary)) if row else {}
+    found = dict(read_block(row[0]["index"], row[0]["n_docs"], row[0]["n_null"], row[0]["frames"], row[0]["id_bytes"], dictionary)) if row else {}
     return found.get(doc_id)
 
 
@@ -167,7 +176,7 @@ def read_shards(blocks: DataFrame, dictionary: bytes) -> DataFrame:
                 if r["dictionary"] != expected:
                     raise ValueError(f"block {r['block']} of shard {r['shard']} was written with another dictionary")
                 at, rows = base[r["shard"]] + r["start"], []
-                for doc_id, ids in read_block(r["index"], r["n_docs"], r["frames"], r["id_bytes"], dictionary):
+                for doc_id, ids in read_block(r["index"], r["n_docs"], r["n_null"], r["frames"], r["id_bytes"], dictionary):
                     rows.append((doc_id, at, len(ids), zlib.crc32(ids.astype("<u4").tobytes())))
                     at += len(ids)
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows)], schema=out)
