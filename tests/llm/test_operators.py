@@ -244,6 +244,46 @@ def test_html():
     assert html_extract.render("<a href='x>y'>l</a> <b") == "l"
 
 
+def test_hostile_markup():
+    assert html_extract.render('<ol start="--5"><li>a</ol>') == "1. a" == html_extract.render(f'<ol start="{"1" * 5000}"><li>a</ol>')
+    assert html_extract.render(f'<table><tr><td colspan="{"9" * 5000}">x</table>') == "x"
+    assert html_extract.render("<table><tr><td>" * 1500 + "deep") == "deep"
+    assert html_extract.render("<table><tbody>" * 1500 + "<tr><td>deep") == "deep"
+    assert html_extract.render("<math><mi>x</mi></math> <svg><title>t</title><text>label</text></svg>") == "x label"
+    sheet = "<style>@media print{.a{display:none}} @media screen{.b{display:none}} .c{display:none}</style>"
+    assert html_extract.render(sheet + "<p class=a>a<p class=b>b<p class=c>c") == "a"
+
+
+@pytest.fixture(scope="module")
+def loose_ids(spark):
+    """Null ids, ids that repeat with the same and with another text, null texts, and columns with clashing names."""
+    rows = [(None, "under the apache license", "x"), (None, None, "y"), (7, "the mit license", "z"), (7, "nothing here", "z"), (7, "the mit license", "z"), (8, None, None)]
+    return spark.createDataFrame([(*r, 1, 2) for r in rows], "doc_id long, text string, words string, row int, hash int")
+
+
+def test_license_scan_of_loose_ids(loose_ids):
+    found = sorted((r.doc_id or 0, r.n_words, r.n_base, r.first_word or -1, r.base_labels) for r in license_scan.scan(loose_ids).collect())
+    assert found == [(0, 0, 0, -1, ""), (0, 4, 1, 2, "apache"), (7, 2, 0, -1, ""), (7, 3, 1, 1, "mit"), (7, 3, 1, 1, "mit"), (8, 0, 0, -1, "")]
+
+
+def test_token_output_and_packing_of_loose_ids(loose_ids):
+    blocks, dictionary = token_output.write_shards(loose_ids, public.path("byte_bpe_50k.json"))
+    rows = sorted(token_output.read_shards(blocks, dictionary).collect(), key=lambda r: r.start)
+    assert [r.doc_id for r in rows] == [None, None, 7, 7, 7, 8]
+    assert [r.start for r in rows] == [sum(x.n_tokens for x in rows[:k]) for k in range(6)] and rows[-1].n_tokens == 1
+    assert list(token_output.read_document(blocks, dictionary, 8)) == [0] and token_output.read_document(blocks, dictionary, 9) is None
+    pieces = packing.pack(loose_ids, public.path("word_bpe_49k.json")).collect()
+    assert sum(p.doc_id is None for p in pieces) >= 2 and {p.doc_id for p in pieces} == {None, 7, 8}
+
+
+def test_rules_codec_and_dedup_of_loose_ids(loose_ids):
+    assert sorted(r.n_words for r in quality_rules.judge(loose_ids).collect()) == [0, 0, 2, 3, 3, 4]
+    assert quality_rules.filter_documents(loose_ids).columns == loose_ids.columns
+    digests = bpe_codec.round_trip_digests(loose_ids, public.path("byte_bpe_multi_50k.tiktoken"), public.PATTERN).collect()
+    assert len(digests) == 6 and sum(r.doc_id is None for r in digests) == 2
+    assert exact_dedup.drop_copies(loose_ids).columns == loose_ids.columns
+
+
 def test_html_table(spark):
     pages = spark.createDataFrame([(1, "<p>a<p>b", "clash"), (2, None, "x"), (3, "", "y")], "page_id long, html string, text string")
     assert {r.page_id: (r.text, r.n_lines, r.n_chars) for r in html_extract.extract(pages).collect()} == {1: ("a\n\nb", 3, 4), 2: ("", 0, 0), 3: ("", 0, 0)}

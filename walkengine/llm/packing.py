@@ -7,7 +7,7 @@ emptiest bins fill the gaps of the fuller ones, and the one bin that stays open
 need no padding.  So a group has no padding at all, and only a bin's gap or the open bin ever cuts a rest.
 
 A null text counts as empty: it has the end id only, which is packed like any other token.  Rows are packed one by
-one, so repeated rows are packed as often as they come; an empty table gives no rows.  Extra columns are not read.
+one, so repeated rows are packed as often as they come (equal rows share a group); an empty table gives no rows.  Extra columns are not read.
 """
 
 from __future__ import annotations
@@ -24,6 +24,8 @@ from walkengine.llm.common import only, read_table
 from walkengine.llm.vocab import library_encoder
 
 LENGTH, END_ID, GROUP_DOCS = 4096, 2, 1024
+#: Groups that a task packs, one after the other.
+GROUPS_A_TASK = 4
 
 Piece = tuple[int, int, int]  # document of the group, first token, number of tokens
 
@@ -121,7 +123,8 @@ def pack(docs: DataFrame, path: str, length: int = LENGTH, end_id: int = END_ID,
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
     groups = max(1, -(-docs.count() // GROUP_DOCS))
     coded = encode(docs, path, length, end_id, spaced)
-    coded = coded.withColumn("deal", F.pmod(F.xxhash64("doc_id", "doc_tokens", F.lit(seed)), F.lit(groups)))
+    deal = F.xxhash64("doc_id", "doc_tokens", "whole_crc", "rest", F.lit(seed))  # ids may be null or repeat
+    coded = coded.withColumn("deal", F.pmod(deal, F.lit(groups))).repartition(-(-groups // GROUPS_A_TASK), "deal")
 
     def run(group: pa.Table) -> pa.Table:
         doc_ids, tokens, crcs, rests, deal = (group[c].to_pylist() for c in ("doc_id", "doc_tokens", "whole_crc", "rest", "deal"))
