@@ -51,17 +51,17 @@ def test_levels_and_links(demo):
 
 def test_dag_ranks_pages_and_lazy_forms_agree(demo):
     _, layers, links = demo
-    d = answer.build(layers, links)
+    d = answer.build(layers)
     assert d.nodes.count() == 6 and int(answer.totals(d).first().n_walks) == 4
     assert int(answer.total_runs(layers).first().n_runs) == 8
     ranked = [r.edge_path for r in answer.page(d, 0, 10).orderBy("rank").collect()]
     pages = [r.edge_path for k in (0, 3) for r in answer.page(d, k, 3).orderBy("rank").collect()]
     assert ranked == pages and set(ranked) == set(DEMO)
-    lazy = [r.edge_path for r in local.emit_local(layers, links).orderBy("rank").collect()]
-    scan = [r.edge_path for r in local.iterate_next(layers, links, "scan").orderBy("rank").collect()]
-    pointer = [r.edge_path for r in local.iterate_next(layers, links, "pointer").orderBy("rank").collect()]
+    lazy = [r.edge_path for r in local.emit_local(layers).orderBy("rank").collect()]
+    scan = [r.edge_path for r in local.iterate_next(layers, "scan").orderBy("rank").collect()]
+    pointer = [r.edge_path for r in local.iterate_next(layers, "pointer").orderBy("rank").collect()]
     assert ranked == lazy == scan == pointer
-    deltas = local.walk_deltas(layers, links).orderBy("rank").collect()
+    deltas = local.walk_deltas(layers).orderBy("rank").collect()
     path = []
     for r, full in zip(deltas, ranked):
         path = (r.new_edges.split(">") if r.new_edges else []) + (path[len(path) - r.kept :] if r.kept else [])
@@ -125,7 +125,7 @@ def test_many_targets_and_batches_agree_with_single_runs(spark, demo):
     g, _, _ = demo
     layers, lengths = minimal_lengths_from(g, P1, "A")
     assert {r.target: r.length for r in lengths.collect()} == {"C": 2, "D": 1, "E": 2, "B": 3}
-    counts = {r.target: int(r.n_walks) for r in answer.totals(answer.build(layers, staged(back_links(layers), "links"))).collect()}
+    counts = {r.target: int(r.n_walks) for r in answer.totals(answer.build(layers)).collect()}
     assert counts == {"C": 1, "D": 1, "E": 2, "B": 4}
     pairs = spark.createDataFrame([(1, "A", "B"), (2, "A", "E"), (3, "B", "A")], "run_id int, source string, target string")
     by = Counter(r.run_id for r in minimal_walks_batch(g, P1, pairs).collect())
@@ -140,16 +140,15 @@ def test_delay_does_not_grow_with_the_in_degree(spark):
         links = staged(back_links(layers), "links")
         assert links.count() == 6
         for compact in (True, False):
-            most[noise, compact] = local.emit_local(layers, links, compact=compact).agg(F.max("steps")).first()[0]
+            most[noise, compact] = local.emit_local(layers, compact=compact).agg(F.max("steps")).first()[0]
     assert most[0, True] == most[200, True] and most[200, False] > 20 * most[200, True]
 
 
 def test_next_walk_goes_on_to_the_last_walk(spark):
     g = graph(spark, [(f"{x}{i:02}", *ends, ["a"]) for x, ends in (("c", "sm"), ("d", "mt")) for i in range(33)])
     layers = layer_forward(g, Nfa.of(1, [(0, "a", 0)], [0], [0]), pair(g, "s", "t"))
-    links = staged(back_links(layers), "links")
     for method in ("scan", "pointer"):
-        found = [r.edge_path for r in local.iterate_next(layers, links, method).collect()]
+        found = [r.edge_path for r in local.iterate_next(layers, method).collect()]
         assert len(found) == len(set(found)) == 33 * 33
 
 

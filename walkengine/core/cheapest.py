@@ -10,70 +10,53 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from walkengine.core.search import Layers, pair
+from walkengine.core.search import Layers, emit_all, pair
 from walkengine.graph.model import LabeledGraph
 from walkengine.lang.automata import Nfa, compile_pattern
-from walkengine.lang.codegen import step_expr
-from walkengine.session import staged
+from walkengine.session import Parts, bucketed, staged
 
 
 def distances(g: LabeledGraph, nfa: Nfa, source, target) -> Layers:
-    """Layers whose level is the least cost."""
+    """Layers whose level is the least cost.  A round writes only the distances it improves."""
     spark, alphabet = g.edges.sparkSession, nfa.alphabet
-    edges = staged(g.masked(alphabet), "edges")
+    edges = bucketed(g.masked(alphabet).withColumn("cost", F.col("cost").cast("long")), "src", "edges")
     if not edges.where("cost IS NULL OR cost <= 0").isEmpty():
         raise ValueError("costs must be positive")
     bit = {a: 1 << i for i, a in enumerate(alphabet)}
     moves = F.broadcast(spark.createDataFrame([(p, bit[a], q) for p, a, q in nfa.moves], "p int, bit long, q int"))  # as large as the pattern
-    ends = pair(g, source, target)
-    kind = dict(ends.dtypes)["source"]
-    best = staged(spark.createDataFrame([(source, q, 0) for q in nfa.initial], f"vertex {kind}, state int, dist long"), "distances")
-    front = best
-    while not front.isEmpty():
-        found = best.where((F.col("vertex") == F.lit(target)) & F.col("state").isin([*nfa.final])).agg(F.min("dist")).first()[0]
-        open_ = front if found is None else front.where(F.col("dist") < found)
+    kind = dict(pair(g, source, target).dtypes)["source"]
+    parts = Parts(spark, "distances", "round")
+    front = parts.add(spark.createDataFrame([(source, q, 0) for q in nfa.initial], f"vertex {kind}, state int, dist long"), 0)
+    accepts = (F.col("vertex") == F.lit(target)) & F.col("state").isin([*nfa.final]) if nfa.final else F.lit(False)
+    found, turn = None, 0
+    while True:
+        seen = front.agg(F.count("*").alias("n"), F.min(F.when(accepts, F.col("dist"))).alias("met")).first()
+        found = min((x for x in (found, seen.met) if x is not None), default=None)
+        if not seen.n:
+            break
+        turn += 1
+        open_ = front.drop("round") if found is None else front.drop("round").where(F.col("dist") < found)
         offered = (
             open_.join(edges, open_.vertex == edges.src)
             .join(moves, (F.col("state") == F.col("p")) & (F.col("lab").bitwiseAND(F.col("bit")) != 0))
-            .select(F.col("dst").alias("vertex"), F.col("q").alias("state"), (F.col("dist") + F.col("cost")).alias("dist"))
+            .select(F.col("dst").alias("vertex"), F.col("q").alias("state"), (F.col("dist") + F.col("cost")).alias("offer"), F.lit(None).cast("long").alias("held"))
         )
         if found is not None:
-            offered = offered.where(F.col("dist") <= found)
-        offered = offered.groupBy("vertex", "state").agg(F.min("dist").alias("offer"))
-        merged = staged(
-            best.join(offered, ["vertex", "state"], "full").select(
-                "vertex", "state", F.least("dist", "offer").alias("dist"), F.coalesce(F.col("offer") < F.col("dist"), F.col("dist").isNull()).alias("better")
-            ),
-            "distances",
-        )
-        best, front = merged.drop("better"), merged.where("better").drop("better")
+            offered = offered.where(F.col("offer") <= found)
+        before = parts.all().select("vertex", "state", F.lit(None).cast("long").alias("offer"), F.col("dist").alias("held"))
+        least = offered.unionByName(before).groupBy("vertex", "state").agg(F.min("offer").alias("offer"), F.min("held").alias("held"))
+        front = parts.add(least.where("offer IS NOT NULL AND (held IS NULL OR offer < held)").select("vertex", "state", F.col("offer").alias("dist")), turn)
+    best = parts.all().groupBy("vertex", "state").agg(F.min("dist").alias("dist"))
     mask = F.bit_or(F.expr("shiftleft(1L, state)")).alias("mask")
-    reach = staged(best.groupBy(F.lit(1).alias("run_id"), "vertex", F.col("dist").cast("int").alias("level")).agg(mask), "reach")
+    reach = staged(best.groupBy(F.lit(1).alias("run_id"), "vertex", F.col("dist").alias("level")).agg(mask), "reach")
     final = F.lit(nfa.mask(nfa.final)).cast("long")
     met = reach.where((F.col("vertex") == F.lit(target)) & (F.col("mask").bitwiseAND(final) != 0))
     least = met.groupBy("run_id", F.col("vertex").alias("target")).agg(F.min(F.struct("level", F.col("mask").bitwiseAND(final).alias("mask"))).alias("x"))
-    return Layers(nfa, alphabet, edges, reach, staged(least.select("run_id", "target", "x.level", "x.mask"), "ends"))
-
-
-def tight_links(layers: Layers) -> DataFrame:
-    """Links along which the least cost grows by the edge's cost."""
-    a, e, b = layers.reach.alias("a"), layers.edges.alias("e"), layers.reach.alias("b")
-    out = step_expr(F.col("a.mask"), F.col("e.lab"), layers.nfa, layers.alphabet)
-    moved = a.join(e, F.col("a.vertex") == F.col("e.src")).select(
-        "a.run_id", "e.edge_id", "e.src", "e.dst", "e.lab", "e.cost", F.col("a.mask").alias("src_mask"), (F.col("a.level") + F.col("e.cost")).cast("int").alias("level"), out.alias("out")
-    ).alias("m")
-    on = (F.col("m.dst") == F.col("b.vertex")) & (F.col("m.level") == F.col("b.level"))
-    return (
-        moved.join(b, on)
-        .select("m.run_id", "m.level", "m.dst", "m.edge_id", "m.src", "m.lab", "m.src_mask", F.col("m.out").bitwiseAND(F.col("b.mask")).alias("dst_mask"), F.col("m.cost").alias("step"))
-        .where("dst_mask <> 0")
-    )
+    return Layers(nfa, alphabet, edges, reach, staged(least.select("run_id", "target", "x.level", "x.mask"), "ends"), unit=False)
 
 
 def cheapest_walks(g: LabeledGraph, pattern, source, target, *, multiplicity: str = "") -> DataFrame:
     """All cheapest matching walks: cost, length (edges), edge_path, vertex_path(, multiplicity)."""
-    from walkengine.core.search import emit_all
-
     layers = distances(g, compile_pattern(pattern), source, target)
-    walks = emit_all(layers, staged(tight_links(layers), "links"), multiplicity=multiplicity, by_cost=True)
-    return walks.join(F.broadcast(layers.ends.select("run_id", F.col("level").cast("long").alias("cost"))), "run_id").drop("run_id", "target")
+    walks = emit_all(layers, multiplicity=multiplicity)
+    return walks.join(F.broadcast(layers.ends.select("run_id", F.col("level").alias("cost"))), "run_id").drop("run_id", "target")

@@ -12,9 +12,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from walkengine.core.search import Layers
-from walkengine.lang.codegen import inverse_step_expr
-from walkengine.session import staged
+from walkengine.core.search import AnswerEdges, Layers, answer_edges, answer_links
+from walkengine.session import Parts, staged
 
 _BIG = "decimal(38,0)"
 
@@ -29,56 +28,40 @@ class AnswerDag:
     roots: DataFrame
 
 
-def build(layers: Layers, links: DataFrame, roots: DataFrame | None = None) -> AnswerDag:
-    """Backwards from the targets: only links that some answer uses are touched.  ``links`` may skip levels (costs)."""
-    nfa, alphabet = layers.nfa, layers.alphabet
-    roots = layers.ends if roots is None else roots
-    key = ["run_id", "level", "vertex", "mask"]
-    front = staged(roots.select("run_id", "level", F.col("target").alias("vertex"), "mask").distinct(), "dag-nodes")
-    top = front.agg(F.max("level")).first()[0]
-    parts, edge_parts = {}, {}
-    pending = front
-    level = top
-    k = links.select("run_id", F.col("level").alias("k_level"), F.col("dst").alias("k_dst"), "edge_id", "src", "lab", "src_mask", "step")
-    while level is not None and level >= 0:
-        here = staged(pending.where(F.col("level") == level).distinct(), "dag-nodes")
-        parts[level] = here
-        if level == 0:
-            break
-        own = k.where(F.col("k_level") == level)
-        on = (here.run_id == own.run_id) & (here.vertex == own.k_dst)
-        states = inverse_step_expr(F.col("mask"), F.col("lab"), nfa, alphabet).bitwiseAND(F.col("src_mask"))
-        out = here.join(own, on).select(
-            here.run_id, "level", "vertex", "mask", "edge_id", "src", (F.col("level") - F.col("step")).cast("int").alias("src_level"), states.alias("src_states")
-        )
-        edge_parts[level] = staged(out.where("src_states <> 0"), "dag-edges")
-        down = edge_parts[level].select("run_id", F.col("src_level").alias("level"), F.col("src").alias("vertex"), F.col("src_states").alias("mask"))
-        pending = pending.where(F.col("level") < level).unionByName(down)
-        level = pending.where("level >= 0").agg(F.max("level")).first()[0]
-    spark = layers.edges.sparkSession
-    counted: DataFrame | None = None
-    edges: DataFrame | None = None
-    for at in sorted(parts):
-        if at == 0:
-            now = parts[0].withColumn("n_walks", F.lit(1).cast(_BIG))
+KEY = ["run_id", "level", "vertex", "mask"]
+
+
+def build(layers: Layers, answers: AnswerEdges | None = None) -> AnswerDag:
+    """Counts upwards from level 0, a level a round; each round reads the level below alone and writes its own ranks
+    (with costs for levels it reads all that is below, since an edge may skip levels)."""
+    answers = answers or answer_edges(layers)
+    spark, rows, unit = layers.edges.sparkSession, answers.rows, layers.unit
+    roots = layers.ends
+    leaves = rows.where("src_level = 0").select("run_id", F.col("src_level").alias("level"), F.col("src").alias("vertex"), F.col("src_states").alias("mask"))
+    leaves = leaves.unionByName(roots.where("level = 0").select("run_id", "level", F.col("target").alias("vertex"), "mask")).distinct()
+    leaves = staged(leaves.withColumn("n_walks", F.lit(1).cast(_BIG)), "dag-leaves")
+    ranks = Parts(spark, "dag-ranks", "turn")
+    counted = lambda e: e.groupBy(*KEY).agg(F.sum("below").cast(_BIG).alias("n_walks"))
+    levels = range(1, answers.rounds + 1) if unit else sorted(r.level for r in rows.select("level").distinct().collect())  # distinct costs on answers
+    last = leaves
+    for level in levels:
+        if unit:
+            below = last
+            e = rows.where(F.col("round") == answers.rounds - level + 1)
         else:
-            child = counted.select(F.col("run_id").alias("c_run"), F.col("level").alias("c_level"), F.col("vertex").alias("c_vertex"), F.col("mask").alias("c_mask"), F.col("n_walks").alias("below"))
-            e = edge_parts[at]
-            on = (e.run_id == child.c_run) & (e.src_level == child.c_level) & (e.src == child.c_vertex) & (e.src_states == child.c_mask)
-            order = W.partitionBy(*key).orderBy("edge_id").rowsBetween(W.unboundedPreceding, 0)
-            e = e.join(child, on).drop("c_run", "c_level", "c_vertex", "c_mask")
-            e = e.withColumn("cum_hi", F.sum("below").over(order).cast(_BIG)).withColumn("cum_lo", (F.col("cum_hi") - F.col("below")).cast(_BIG))
-            e = staged(e, "dag-ranks")
-            edges = e if edges is None else edges.unionByName(e)
-            now = e.groupBy(*key).agg(F.sum("below").cast(_BIG).alias("n_walks"))
-        counted = now if counted is None else counted.unionByName(now)
-        counted = staged(counted, "dag-counts")
-    if counted is None:
-        counted = front.limit(0).withColumn("n_walks", F.lit(0).cast(_BIG))
-    if edges is None:
-        kinds = dict(layers.edges.dtypes)
-        edges = spark.createDataFrame([], f"run_id int, level int, vertex {kinds['dst']}, mask long, edge_id {kinds['edge_id']}, src {kinds['src']}, src_level int, src_states long, below {_BIG}, cum_hi {_BIG}, cum_lo {_BIG}")
-    return AnswerDag(counted, edges, roots)
+            below = leaves if ranks.schema is None else leaves.unionByName(counted(ranks.all()))
+            e = rows.where(F.col("level") == level)
+        child = below.select(F.col("run_id").alias("c_run"), F.col("level").alias("c_level"), F.col("vertex").alias("c_vertex"), F.col("mask").alias("c_mask"), F.col("n_walks").alias("below"))
+        on = (F.col("run_id") == F.col("c_run")) & (F.col("src_level") == F.col("c_level")) & (F.col("src") == F.col("c_vertex")) & (F.col("src_states") == F.col("c_mask"))
+        order = W.partitionBy(*KEY).orderBy("edge_id").rowsBetween(W.unboundedPreceding, 0)
+        e = e.join(child, on).select(*KEY, "edge_id", "src", "lab", "src_level", "src_states", "below")
+        e = e.withColumn("cum_hi", F.sum("below").over(order).cast(_BIG)).withColumn("cum_lo", (F.col("cum_hi") - F.col("below")).cast(_BIG))
+        last = counted(ranks.add(e, level))
+    if ranks.schema is None:
+        none = rows.limit(0).select(*KEY, "edge_id", "src", "lab", "src_level", "src_states", F.lit(0).cast(_BIG).alias("below"), F.lit(0).cast(_BIG).alias("cum_hi"), F.lit(0).cast(_BIG).alias("cum_lo"))
+        ranks.add(none, 0)
+    edges = ranks.all().drop("turn")
+    return AnswerDag(staged(leaves.unionByName(counted(edges)), "dag-nodes"), edges, roots)
 
 
 def totals(dag: AnswerDag) -> DataFrame:
@@ -112,38 +95,67 @@ def walks_at(dag: AnswerDag, ranks: DataFrame) -> DataFrame:
     return out.select("run_id", "target", F.col("rank").cast("long").alias("rank"), "length", "edge_path")
 
 
+def rank_of(dag: AnswerDag, path: list) -> int | None:
+    """The rank of a walk given as its edges, first edge first, for a DAG of one root: the intervals along the walk add
+    up.  Nothing but the DAG and the walk is read, so the walk itself is a token for the next page."""
+    steps = list(reversed(path))
+    rows = dag.roots.select("run_id", "level", F.col("target").alias("vertex"), "mask", F.lit(0).cast(_BIG).alias("rank"))
+    for edge in steps:
+        r, x = rows.alias("r"), dag.edges.where(F.col("edge_id") == F.lit(edge)).alias("x")
+        rows = r.join(x, [F.col(f"r.{c}") == F.col(f"x.{c}") for c in KEY]).select(
+            "r.run_id", F.col("x.src_level").alias("level"), F.col("x.src").alias("vertex"), F.col("x.src_states").alias("mask"), (F.col("r.rank") + F.col("x.cum_lo")).cast(_BIG).alias("rank")
+        )
+    found = rows.where("level = 0").select("rank").first()
+    return None if found is None else int(found[0])
+
+
+def page_after(dag: AnswerDag, token: list | None, size: int) -> DataFrame:
+    """The page after the walk ``token`` (from the first walk on without one)."""
+    first = 0 if token is None else rank_of(dag, token)
+    if first is None:
+        raise ValueError("the token is no answer of this run")
+    return page(dag, first + (token is not None), size)
+
+
+def save_run(dag: AnswerDag, path: str) -> None:
+    """A run as Parquet files: another driver can page, count and sample from them."""
+    for name in ("nodes", "edges", "roots"):
+        getattr(dag, name).write.parquet(f"{path}/{name}")
+
+
+def load_run(spark, path: str) -> AnswerDag:
+    return AnswerDag(*(spark.read.parquet(f"{path}/{name}") for name in ("nodes", "edges", "roots")))
+
+
 def page(dag: AnswerDag, first: int, size: int) -> DataFrame:
     """A page of answers; nothing is kept between pages, and any driver can ask for the next one."""
     spark = dag.nodes.sparkSession
     return walks_at(dag, spark.range(first, first + size).select(F.col("id").alias("rank")))
 
 
-def total_runs(layers: Layers) -> DataFrame:
-    """run_id, target and the number of accepting runs over all answers, by one count a (vertex, state) and level."""
+def total_runs(layers: Layers, answers: AnswerEdges | None = None) -> DataFrame:
+    """run_id, target, length and the number of accepting runs over all answers, by one count a (vertex, state) and level
+    on the vertices that lie on answers."""
     nfa = layers.nfa
+    answers = answers or answer_edges(layers)
     spark = layers.edges.sparkSession
     bit = {a: 1 << i for i, a in enumerate(layers.alphabet)}
     moves = F.broadcast(spark.createDataFrame([(p, bit[a], q) for p, a, q in nfa.moves], "p int, bit long, q int"))  # as large as the pattern
-    states = spark.createDataFrame([(q, 1 << q) for q in range(nfa.n)], "state int, flag long")
-    met = staged(layers.reach.crossJoin(F.broadcast(states)).where(F.col("mask").bitwiseAND(F.col("flag")) != 0).select("run_id", "vertex", "level", "state"), "pairs")
-    now = met.where("level = 0").withColumn("runs", F.lit(1).cast(_BIG))
-    every = [now]
-    for level in range(1, (layers.ends.agg(F.max("level")).first()[0] or 0) + 1):
-        here = met.where(F.col("level") == level)
-        moved = (
-            now.join(layers.edges, now.vertex == layers.edges.src)
-            .join(moves, (F.col("state") == F.col("p")) & (F.col("lab").bitwiseAND(F.col("bit")) != 0))
-            .groupBy("run_id", F.col("dst").alias("vertex"), F.col("q").alias("state"))
-            .agg(F.sum("runs").cast(_BIG).alias("runs"))
-        )
-        now = staged(here.join(moved, ["run_id", "vertex", "state"]).select("run_id", "vertex", "level", "state", "runs"), "runs")
-        every.append(now)
-    runs = every[0].select("run_id", "vertex", "level", "state", "runs")
-    for x in every[1:]:
-        runs = runs.unionByName(x)
+    links = staged(answer_links(layers, answers), "links")
+    flag = lambda mask, state: F.col(mask).bitwiseAND(F.expr(f"shiftleft(1L, {state})")) != 0
+    state = F.explode(F.sequence(F.lit(0), F.lit(max(0, nfa.n - 1)))).alias("state")
+    first = links.where("level = 1").select("run_id", F.col("src").alias("vertex"), "src_mask", state).where(flag("src_mask", "state"))
+    zero = layers.ends.where("level = 0").select("run_id", F.col("target").alias("vertex"), F.col("mask").alias("src_mask"), state).where(flag("src_mask", "state"))
+    first = first.unionByName(zero).select("run_id", "vertex", "state").distinct()
+    counts = Parts(spark, "runs", "level")
+    now = counts.add(first.withColumn("runs", F.lit(1).cast(_BIG)), 0)
+    for level in range(1, answers.rounds + 1):
+        own = links.where(F.col("level") == level).withColumnRenamed("run_id", "k_run")
+        moved = now.join(own, (F.col("run_id") == F.col("k_run")) & (F.col("vertex") == F.col("src"))).join(moves, (F.col("state") == F.col("p")) & (F.col("lab").bitwiseAND(F.col("bit")) != 0))
+        moved = moved.where(flag("dst_mask", "q")).groupBy("run_id", F.col("dst").alias("vertex"), F.col("q").alias("state")).agg(F.sum("runs").cast(_BIG).alias("runs"))
+        now = counts.add(moved, level)
     ends = layers.ends.withColumnRenamed("target", "vertex")
-    flag = F.expr("shiftleft(1L, state)")
     return (
-        ends.join(runs, ["run_id", "vertex", "level"]).where(F.col("mask").bitwiseAND(flag) != 0)
+        ends.join(counts.all(), ["run_id", "vertex", "level"]).where(flag("mask", "state"))
         .groupBy("run_id", F.col("vertex").alias("target"), F.col("level").alias("length")).agg(F.sum("runs").cast(_BIG).alias("n_runs"))
     )

@@ -7,7 +7,6 @@ the measures compare: browsing every in-edge, and scanning whole queues to merge
 
 from __future__ import annotations
 
-from bisect import bisect_left, bisect_right
 from collections import defaultdict
 from collections.abc import Iterator
 
@@ -15,7 +14,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from walkengine.core.search import Layers
+from walkengine.core.search import AnswerEdges, Layers, answer_edges, answer_links
 from walkengine.lang.automata import Nfa
 
 
@@ -33,6 +32,15 @@ class Emitter:
         self.queues = {
             (k, q): [i for i, x in enumerate(v) if x[4] >> q & 1] for k, v in self.links.items() for q in range(nfa.n)
         }
+        self.place = {k: {x[0]: i for i, x in enumerate(v)} for k, v in self.links.items()}
+        # after[k, q][i]: the first place beyond i with a link for state q (a place has one whether or not q uses it)
+        self.after: dict[tuple, list[int]] = {}
+        for (k, q), queue in self.queues.items():
+            then, n = [len(queue)] * len(self.links[k]), len(queue)
+            for h in range(n - 1, -1, -1):
+                for i in range(queue[h - 1] if h else 0, queue[h]):
+                    then[i] = h
+            self.after[k, q] = then
         self.states = [tuple(q for q in range(nfa.n) if m >> q & 1) for m in range(1 << min(nfa.n, 12))] if nfa.n <= 12 else None
         self.n, self.in_edges = nfa.n, in_edges
 
@@ -42,11 +50,15 @@ class Emitter:
             self.known[key] = sum({p for q, l, p in self.back if mask & q and lab & l})
         return self.known[key]
 
+    def _looked(self, mask: int, lab: int) -> int:
+        """Moves that a step from the link's end back looks at: those into a state of the set."""
+        return sum(1 for q, _, _ in self.back if mask & q)
+
     def _of(self, mask: int):
         return self.states[mask] if self.states else [q for q in range(self.n) if mask >> q & 1]
 
     def _child(self, link: tuple, level: int, mask: int) -> tuple:
-        self.steps += len(self._of(mask))
+        self.steps += self._looked(mask, link[2])  # counted whether or not the answer is remembered
         return level - 1, link[1], self.before(mask, link[2]) & link[3]
 
     def children(self, node: tuple, after=None, compact: bool = True, merge: str = "heads") -> Iterator[tuple]:
@@ -65,8 +77,7 @@ class Emitter:
         heads = {q: 0 for q in self._of(mask)}
         if after is not None:
             for q in heads:
-                queue = self.queues.get((here, q), [])
-                heads[q] = bisect_right(queue, after, key=lambda i: links[i][0])
+                heads[q] = self.after[here, q][self.place[here][after]]  # one look-up by pointer
                 self.steps += 1
         while True:
             best = None
@@ -98,8 +109,8 @@ class Emitter:
             for edge in reversed(after):  # replay the given answer to restore the cursors
                 stack.append(self.children(node, edge, compact, merge))
                 path.append(edge)
-                link = self.links[node[0], node[1]]
-                node = self._child(link[bisect_left(link, edge, key=lambda x: x[0])], node[0], node[2])
+                at = node[0], node[1]
+                node = self._child(self.links[at][self.place[at][edge]], node[0], node[2])
             path.pop()
         while stack:
             found = next(stack[-1], None)
@@ -122,14 +133,18 @@ class Emitter:
         return next(self.walks(after=list(previous), compact=method == "pointer"), None)
 
 
-def per_run(layers: Layers, links: DataFrame, body, schema: str, in_edges: bool = False) -> DataFrame:
-    """``body(emitter, target)`` yields rows; one task serves one run."""
+def per_run(layers: Layers, body, schema: str, in_edges: bool = False, answers: AnswerEdges | None = None) -> DataFrame:
+    """``body(emitter, target)`` yields rows; one task serves one run, and only links that lie on its answers go there
+    (with ``in_edges`` also all edges into the vertices on answers, for the forms that browse them)."""
     nfa, alphabet = layers.nfa, layers.alphabet
     columns = ["level", "dst", "edge_id", "src", "lab", "src_mask", "dst_mask"]
     names = [c.split()[0] for c in schema.split(", ")]
+    answers = answers or answer_edges(layers)
+    links = answer_links(layers, answers)
     every = links.select("run_id", *columns, F.lit(True).alias("used"))
     if in_edges:
-        blank = layers.edges.select("edge_id", "dst").crossJoin(F.broadcast(layers.ends.select("run_id").distinct()))
+        met = answers.rows.select("run_id", F.col("vertex").alias("dst")).distinct()
+        blank = layers.edges.select("edge_id", "dst").join(met, "dst").select("run_id", "dst", "edge_id")
         every = every.unionByName(blank.withColumn("used", F.lit(False)), allowMissingColumns=True)
 
     def run(rows: pd.DataFrame, ends: pd.DataFrame) -> pd.DataFrame:
@@ -151,7 +166,7 @@ def text(path) -> str:
     return ">".join(map(str, path))
 
 
-def emit_local(layers: Layers, links: DataFrame, *, limit: int | None = None, compact: bool = True, merge: str = "heads") -> DataFrame:
+def emit_local(layers: Layers, *, limit: int | None = None, compact: bool = True, merge: str = "heads", answers: AnswerEdges | None = None) -> DataFrame:
     """rank, edge_path and steps since the walk before, in order; stops after ``limit`` walks."""
 
     def body(emitter: Emitter, target):
@@ -162,10 +177,10 @@ def emit_local(layers: Layers, links: DataFrame, *, limit: int | None = None, co
             yield rank, text(path), emitter.steps - last
             last = emitter.steps
 
-    return per_run(layers, links, body, "rank long, edge_path string, steps long", in_edges=not compact)
+    return per_run(layers, body, "rank long, edge_path string, steps long", in_edges=not compact, answers=answers)
 
 
-def walk_deltas(layers: Layers, links: DataFrame) -> DataFrame:
+def walk_deltas(layers: Layers) -> DataFrame:
     """rank, kept (edges shared with the walk before, at the target's end) and the new edges."""
 
     def body(emitter: Emitter, target):
@@ -177,10 +192,10 @@ def walk_deltas(layers: Layers, links: DataFrame) -> DataFrame:
             yield rank, kept, text(path[: len(path) - kept])
             last = path
 
-    return per_run(layers, links, body, "rank long, kept long, new_edges string")
+    return per_run(layers, body, "rank long, kept long, new_edges string")
 
 
-def iterate_next(layers: Layers, links: DataFrame, method: str, limit: int | None = None) -> DataFrame:
+def iterate_next(layers: Layers, method: str, limit: int | None = None) -> DataFrame:
     """The walks found by asking for the next one again and again, with the steps of each question; stops after ``limit`` walks."""
 
     def body(emitter: Emitter, target):
@@ -190,7 +205,7 @@ def iterate_next(layers: Layers, links: DataFrame, method: str, limit: int | Non
             emitter.steps = 0
             path, rank = (emitter.next_walk(path, method) if path else None), rank + 1
 
-    return per_run(layers, links, body, "rank long, edge_path string, steps long", in_edges=method == "scan")
+    return per_run(layers, body, "rank long, edge_path string, steps long", in_edges=method == "scan")
 
 
 def resumable(links: DataFrame) -> DataFrame:

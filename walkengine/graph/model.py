@@ -36,8 +36,10 @@ class LabeledGraph:
         """Edges with their place among the edges into the same vertex, from 0."""
         return self.edges.withColumn("in_pos", F.row_number().over(W.partitionBy("dst").orderBy("edge_id")).cast("long") - 1)
 
-    def single_labelled(self) -> bool:
-        return self.edges.where(F.size("labels") > 1).isEmpty()
+    def single_labelled(self, alphabet: tuple[str, ...] | None = None) -> bool:
+        """No edge has two labels (of the alphabet, if given)."""
+        labels = F.col("labels") if alphabet is None else F.filter("labels", lambda x: x.isin(*alphabet))
+        return self.edges.where(F.size(labels) > 1).isEmpty()
 
     def validate(self) -> None:
         """Raises on missing ends, repeated edge ids or costs that are not positive."""

@@ -53,6 +53,15 @@ def inverse_step_expr(states: Column, labels: Column, nfa: Nfa, alphabet: tuple[
     return _moves(nfa, alphabet, True, states, labels)
 
 
+def closure_expr(states: Column, nfa: Nfa) -> Column:
+    """The states and all that spontaneous moves reach from them; one test for each state that has such moves."""
+    parts = [states]
+    for p in sorted({p for p, _ in nfa.eps}):
+        near = nfa.mask(nfa.closure({p}))
+        parts.append(F.when(states.bitwiseAND(F.lit(1 << p).cast("long")) != 0, F.lit(near).cast("long")).otherwise(F.lit(0).cast("long")))
+    return reduce(lambda x, y: x.bitwiseOR(y), parts)
+
+
 def run_counts(counts: Column, labels: Column, nfa: Nfa, alphabet: tuple[str, ...], by: str = "words") -> Column:
     """Array of run counts before an edge from those after it; ``by``: words counts (label, move), states counts (from, to)."""
     bit = {a: 1 << i for i, a in enumerate(alphabet)}
