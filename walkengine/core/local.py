@@ -21,7 +21,7 @@ from walkengine.lang.automata import Nfa
 class Emitter:
     def __init__(self, nfa: Nfa, alphabet: tuple[str, ...], links: list[tuple], target, level: int, mask: int, in_edges: dict | None = None):
         """``links``: (level, dst, edge_id, src, lab, src_mask, dst_mask).  ``in_edges``: all edges into a vertex, for browsing."""
-        self.root, self.steps, self.calls = (level, target, mask), 0, 0
+        self.root, self.steps, self.calls, self.depth = (level, target, mask), 0, 0, 0
         bit = {a: 1 << i for i, a in enumerate(alphabet)}
         self.back = [(1 << q, bit[a], 1 << p) for p, a, q in nfa.moves if a in bit]
         self.known: dict[tuple[int, int], int] = {}
@@ -123,6 +123,7 @@ class Emitter:
             edge, child = found
             path.append(edge)
             if child[0] == 0:
+                self.depth = len(stack)
                 yield tuple(reversed(path))
                 path.pop()
             else:

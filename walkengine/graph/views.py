@@ -63,8 +63,12 @@ def trade(spark: SparkSession, sf_dir: str) -> LabeledGraph:
 
 def handoff(spark: SparkSession, sf_dir: str) -> LabeledGraph:
     """User to the user of the next event of the day."""
+    return handoff_of(read_table(spark, sf_dir, "events"))
+
+
+def handoff_of(events: DataFrame) -> LabeledGraph:
     along = W.partitionBy(F.to_date("ts")).orderBy("ts", "event_id")
-    events = read_table(spark, sf_dir, "events").select(
+    events = events.select(
         F.col("event_id").alias("edge_id"),
         F.col("user_id").alias("src"),
         F.lead("user_id").over(along).alias("dst"),
@@ -154,6 +158,22 @@ def links(spark: SparkSession, sf_dir: str) -> LabeledGraph:
     return LabeledGraph(out)
 
 
+def docs(spark: SparkSession, sf_dir: str) -> LabeledGraph:
+    """Documents that share a trimmed line of 20 characters or more which 2 to 20 documents have (so a line gives a bounded
+    number of pairs), both ways; labelled by what the two share and by the labels of the document reached."""
+    documents = read_table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source")
+    line = documents.select("doc_id", F.explode(F.split(F.coalesce("text", F.lit("")), "\n")).alias("x")).select("doc_id", F.trim("x").alias("line"))
+    line = line.where(F.length("line") >= 20).distinct()
+    shared = line.groupBy("line").agg(F.count("*").alias("n")).where("n BETWEEN 2 AND 20").select("line")
+    line = line.join(shared, "line")
+    pairs = line.select("line", F.col("doc_id").alias("src")).join(line.select("line", F.col("doc_id").alias("dst")), "line").where("src <> dst").select("src", "dst").distinct()
+    known = documents.select("doc_id", "lang", "source").join(read_table(spark, sf_dir, "labels").select("doc_id", "quality", "toxic"), "doc_id", "left")
+    a, b = known.alias("a"), known.alias("b")
+    both = pairs.join(a, F.col("src") == F.col("a.doc_id")).join(b, F.col("dst") == F.col("b.doc_id"))
+    marks = tests(samelang=F.col("a.lang") == F.col("b.lang"), samesource=F.col("a.source") == F.col("b.source"), good=F.col("b.quality") == 1, toxic=F.col("b.toxic") == 1)
+    return LabeledGraph(both.select(F.concat_ws("-", "src", "dst").alias("edge_id"), "src", "dst", marks.alias("labels"), F.lit(1).cast("long").alias("cost")))
+
+
 def ladder(spark: SparkSession, stages: int, width: int = 2, labels: tuple[str, ...] = ("a", "b"), noise: int = 0) -> LabeledGraph:
     """``stages`` steps of ``width`` parallel edges with all labels; ``noise`` edges into each vertex from unreachable ones."""
     step = spark.range(stages).select(F.col("id").alias("k"))
@@ -169,7 +189,7 @@ def ladder(spark: SparkSession, stages: int, width: int = 2, labels: tuple[str,
     return LabeledGraph(real.unionByName(extra))
 
 
-VIEWS = {f.__name__: f for f in (demo, basket, trade, handoff, session, chat, geo, supply, links)}
+VIEWS = {f.__name__: f for f in (demo, basket, trade, handoff, session, chat, geo, supply, links, docs)}
 
 _KEY = "concat_ws('-', l_orderkey, l_linenumber, row_number() OVER (PARTITION BY l_orderkey, l_linenumber ORDER BY l_partkey, l_suppkey, l_extendedprice))"
 _TEST = lambda **t: "list_filter([" + ", ".join(f"CASE WHEN {c} THEN '{n}' END" for n, c in t.items()) + "], lambda x: x IS NOT NULL)"
@@ -201,6 +221,13 @@ VIEW_SQL = {
         FROM (SELECT *, {_KEY} AS k FROM lineitem) JOIN part ON l_partkey = p_partkey"""
         for n, s, d in (("sp", "'S:' || l_suppkey", "'P:' || l_partkey"), ("ps", "'P:' || l_partkey", "'S:' || l_suppkey"))
     ),
+    "docs": f"""WITH line AS (SELECT DISTINCT doc_id, trim(x) AS line FROM (SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS x FROM documents) WHERE length(trim(x)) >= 20),
+        shared AS (SELECT line FROM line GROUP BY line HAVING count(*) BETWEEN 2 AND 20),
+        pairs AS (SELECT DISTINCT a.doc_id AS src, b.doc_id AS dst FROM line a JOIN line b USING (line) JOIN shared USING (line) WHERE a.doc_id <> b.doc_id),
+        known AS (SELECT d.doc_id, lang, source, quality, toxic FROM documents d LEFT JOIN labels USING (doc_id))
+        SELECT src || '-' || dst AS edge_id, src, dst,
+        {_TEST(samelang="a.lang = b.lang", samesource="a.source = b.source", good="b.quality = 1", toxic="b.toxic = 1")} AS labels, 1::BIGINT AS cost
+        FROM pairs JOIN known a ON a.doc_id = src JOIN known b ON b.doc_id = dst""",
     "links": " UNION ALL ".join(
         f"SELECT 'G:' || page_id || '|{t}' || x || '|{e}' AS edge_id, {s} AS src, {d} AS dst, {l} AS labels, 1::BIGINT AS cost FROM ({q})"
         for q, t, n in (("SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]+)\"', 1)) AS x FROM pages", "L:", "nav"), ("SELECT page_id, regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS x FROM pages", "H:", "host"))

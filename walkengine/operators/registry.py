@@ -19,7 +19,7 @@ from walkengine.graph.model import LabeledGraph
 from walkengine.graph.views import VIEW_SQL
 from walkengine.lang.automata import Nfa, compile_pattern, determinize, inductive_nfa
 from walkengine.lang.patterns import parse_pattern
-from walkengine.operators import around
+from walkengine.operators import around, workloads
 from walkengine.operators.automata import P1, P2, P4, PATTERNS, TEXT
 from walkengine.operators.oracles import cheapest, ranked, runs, search, walks
 from walkengine.session import staged
@@ -48,11 +48,11 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return QUERIES | around.QUERIES | streams.QUERIES
+    return QUERIES | workloads.QUERIES | around.QUERIES | streams.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
-    return ORACLES | around.ORACLES | streams.ORACLES
+    return ORACLES | workloads.ORACLES | around.ORACLES | streams.ORACLES
 
 
 def _run(spark: SparkSession, sf_dir: str, view: str = "basket", nfa: Nfa = P2, source=FROM, target=TO) -> Layers:
@@ -73,7 +73,7 @@ for _view in views.VIEWS:
         )
     )
 
-_SIZED = ("basket", "trade", "handoff", "chat", "geo")
+_SIZED = ("basket", "trade", "handoff", "session", "chat", "geo", "supply", "links", "docs")
 
 
 @query("graph_size_report", " UNION ALL ".join(
@@ -484,10 +484,10 @@ def measure_bounds_report(spark, sf_dir):
     return spark.createDataFrame(rows, "claim string, holds boolean")
 
 
-@query("measure_pattern_sizes", "SELECT * FROM (VALUES " + ", ".join(f"({k}, {k + 2}, {2 ** (k + 1)})" for k in range(1, 9)) + ") AS t(k, n_states, n_determinized)")
+@query("measure_pattern_sizes", "SELECT * FROM (VALUES " + ", ".join(f"({k}, {k + 2}, {2 ** (k + 1)})" for k in range(1, 13)) + ") AS t(k, n_states, n_determinized)")
 def measure_pattern_sizes(spark, sf_dir):
     rows = []
-    for k in range(1, 9):
+    for k in range(1, 13):
         hs = lambda p, q: [(p, "h", q), (p, "s", q)]
         nfa = Nfa.of(k + 2, [*hs(0, 0), (0, "s", 1), *(m for i in range(1, k + 1) for m in hs(i, i + 1))], [0], [k + 1])
         rows.append((k, nfa.n, determinize(nfa).n))

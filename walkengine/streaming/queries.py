@@ -19,7 +19,7 @@ def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The events table as a stream of its files, with a watermark; copies of an event within it are dropped."""
     schema = read_table(spark, sf_dir, "events").schema
     raw = spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").option("recursiveFileLookup", "false").parquet(sf_dir)
-    return raw.withColumn("at", F.col("ts").cast("timestamp")).withWatermark("at", "1 hour")
+    return raw.withColumn("at", F.col("ts").cast("timestamp")).withWatermark("at", "1 hour").dropDuplicatesWithinWatermark(["event_id"])
 
 
 def drain(stream: DataFrame, mode: str) -> DataFrame:
