@@ -30,11 +30,11 @@ from walkengine.llm.common import only, read_table
 from walkengine.llm.vocab import PieceEncoder, worker_state
 
 #: States that a worker keeps; beyond it the transducer starts anew (a matter of memory, not of results).
-MAX_STATES = 250_000
+MAX_STATES = 350_000
 #: Ids that the query gives to the streaming decoder at a time.
 FEED = 4096
 #: Matches whose ids a worker keeps.
-MAX_WORDS = 120_000
+MAX_WORDS = 250_000
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -80,7 +80,6 @@ class MergeTransducer:
         self.opens: list[tuple[int, ...]] = []
         self.moves: dict[int, int] = {}  # state << 8 | byte -> state, or ~state if ids are emitted
         self.emitted: dict[int, tuple[int, ...]] = {}
-        self.rests: dict[int, tuple[int, ...]] = {}
         self.start = self._state(-1, (), ())
 
     def _state(self, before: int, chain: tuple[int, ...], opens: tuple[int, ...]) -> int:
@@ -180,14 +179,28 @@ class MergeTransducer:
         self.moves[key] = found
         return found
 
-    def _rest(self, state: int) -> tuple[int, ...]:
-        chain, path = self.chains[state], []
-        end = len(chain)
+    def _finish(self, state: int, byte: int) -> list[int]:
+        """What is still to be emitted if the piece ends with this byte.  No move is kept: a piece that comes again is
+        known as a whole, and most last moves belong to one piece alone."""
+        chain, trie, at, beside = self.chains[state], self.trie, self.at, self.beside
+        for pair in (*self.opens[state], len(chain) << _ROOM):
+            edge = (pair & _LOW) << 8 | byte
+            if edge not in trie:
+                continue
+            token = at[trie[edge]]
+            if token < 0:
+                continue
+            end = pair >> _ROOM
+            previous = chain[end - 1] & _LOW if end else self.befores[state]
+            apart = beside.get(previous << 32 | token)
+            if apart if apart is not None else self.adjacent(previous, token):
+                break
+        path = [token]
         while end:
             path.append(chain[end - 1] & _LOW)
             end = chain[end - 1] >> _ROOM
-        self.rests[state] = found = tuple(reversed(path))
-        return found
+        path.reverse()
+        return path
 
     def encode(self, piece: bytes) -> list[int]:
         whole = self.ranks.get(piece)
@@ -197,16 +210,16 @@ class MergeTransducer:
             self._reset()
         if len(self.beside) > 4 * MAX_STATES:
             self.beside.clear()
+        if not piece:
+            return []
         state, out, moves = self.start, [], self.moves
-        for byte in piece:
+        for byte in piece[:-1]:
             key = state << 8 | byte
             state = moves[key] if key in moves else self._move(state, byte)
             if state < 0:
                 out += self.emitted[key]
                 state = ~state
-        rest = self.rests.get(state)
-        out += rest if rest is not None else self._rest(state)
-        return out
+        return out + self._finish(state, piece[-1])
 
 
 class StreamDecoder:
@@ -260,7 +273,8 @@ class TransducerCodec:
 
         self.ranks = load_ranks(path)
         self.transducer, self.matches = MergeTransducer(self.ranks), regex.compile(pattern).findall
-        self.vocabulary = {i: t for t, i in self.ranks.items()}
+        self.vocabulary = [self.transducer.entry.get(i, b"") for i in range(max(self.transducer.entry, default=-1) + 1)]
+        self.decimal = list(map(str, range(len(self.vocabulary))))
         self.known: dict[str, tuple[int, ...]] = {}
         # words are single matches of the public pattern, with or without the space before; other patterns always cut
         self.letters_match = all(self.matches(x) == [x] for x in ("aé", " aé")) and self.matches(" a,") == [" a", ","]
@@ -290,23 +304,8 @@ class TransducerCodec:
         return out
 
 
-class _DecimalEncoder(PieceEncoder):
-    """Also keeps each piece's ids as decimal text."""
-
-    def _reset(self) -> None:
-        super()._reset()
-        self.decimal: list[str] = []
-
-    def _add(self, pieces: list[str], sizes, flat) -> None:
-        at = len(self.number)
-        super()._add(pieces, sizes, flat)
-        for k in range(at, len(self.number)):
-            a = self.first[k]
-            self.decimal.append(",".join(map(str, self.ids[a : a + self.count[k]].tolist())))
-
-
-def codec(path: str, pattern: str) -> _DecimalEncoder:
-    return worker_state(("transducer", path, pattern), lambda: _DecimalEncoder(TransducerCodec(path, pattern), spaced=True))
+def codec(path: str, pattern: str) -> PieceEncoder:
+    return worker_state(("transducer", path, pattern), lambda: PieceEncoder(TransducerCodec(path, pattern), spaced=True))
 
 
 def encode_texts(docs: DataFrame, path: str, pattern: str) -> DataFrame:
@@ -354,22 +353,13 @@ def round_trip_digests(docs: DataFrame, path: str, pattern: str) -> DataFrame:
             digest.update(stream.close_bytes())
             return digest.hexdigest()
 
-        def of_run(part: pa.Array, regular: bool) -> Iterator[tuple[list[int], str]]:
-            if not regular:
-                for text in part.to_pylist():
-                    ids = encoder.codec.whole(text)
-                    yield ids, ",".join(map(str, ids))
-                return
-            number, bounds = encoder.piece_numbers(part)
-            ids, ends = encoder.gather(number, bounds)
-            number, bounds, ends = number.tolist(), bounds.tolist(), ends.tolist()
-            for i in range(len(part)):
-                own = map(encoder.decimal.__getitem__, number[bounds[i] : bounds[i + 1]])
-                yield ids[ends[i] : ends[i + 1]].tolist(), ",".join(filter(None, own))
-
+        decimal = encoder.codec.decimal.__getitem__
         for batch in batches:
-            for row, part, regular in encoder.runs(batch["text"]):
-                rows = [(len(ids), hashlib.sha256(text.encode()).hexdigest(), decoded(ids)) for ids, text in of_run(part, regular)]
+            for row, ids, bounds in encoder.encode(batch["text"]):
+                ids, rows = ids.tolist(), []
+                for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist()):
+                    own = ids[a:b]
+                    rows.append((b - a, hashlib.sha256(",".join(map(decimal, own)).encode()).hexdigest(), decoded(own)))
                 columns = [pa.array(c, t) for c, t in zip(zip(*rows), DIGEST.types[1:])]
                 yield pa.RecordBatch.from_arrays([batch["doc_id"].slice(row, len(rows)).cast(pa.int64()), *columns], schema=DIGEST)
 
