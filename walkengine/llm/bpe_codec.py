@@ -33,8 +33,9 @@ from walkengine.llm.vocab import PieceEncoder, worker_state
 MAX_STATES = 350_000
 #: Ids that the query gives to the streaming decoder at a time.
 FEED = 4096
-#: Matches whose ids a worker keeps.
-MAX_WORDS = 250_000
+#: Pieces, and matches, whose ids a worker keeps.
+MAX_PIECES = 350_000
+MAX_WORDS = 350_000
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -305,7 +306,7 @@ class TransducerCodec:
 
 
 def codec(path: str, pattern: str) -> PieceEncoder:
-    return worker_state(("transducer", path, pattern), lambda: PieceEncoder(TransducerCodec(path, pattern), spaced=True))
+    return worker_state(("transducer", path, pattern), lambda: PieceEncoder(TransducerCodec(path, pattern), spaced=True, limit=MAX_PIECES))
 
 
 def encode_texts(docs: DataFrame, path: str, pattern: str) -> DataFrame:

@@ -131,8 +131,8 @@ class LibraryCodec:
 class PieceEncoder:
     """Ids of whole texts.  ``spaced``: whether a piece after a space is encoded with that space (byte-level BPE)."""
 
-    def __init__(self, codec, spaced: bool):
-        self.codec, self.spaced = codec, spaced
+    def __init__(self, codec, spaced: bool, limit: int = CACHE_PIECES):
+        self.codec, self.spaced, self.limit = codec, spaced, limit
         self._reset()
 
     def _reset(self) -> None:
@@ -147,8 +147,8 @@ class PieceEncoder:
         """Forgets what came in one slice alone, and the least used half where that is still too much."""
         n = len(self.number)
         uses = self.uses[:n]
-        stay = uses >= max(2, int(np.partition(uses, n - CACHE_PIECES // 2)[n - CACHE_PIECES // 2]))
-        chosen = np.flatnonzero(stay)[: CACHE_PIECES // 2]
+        stay = uses >= max(2, int(np.partition(uses, n - self.limit // 2)[n - self.limit // 2]))
+        chosen = np.flatnonzero(stay)[: self.limit // 2]
         size = self.count[chosen]
         ends = np.cumsum(size)
         place = np.repeat(self.first[chosen] - (ends - size), size) + np.arange(ends[-1] if len(ends) else 0)
@@ -184,7 +184,7 @@ class PieceEncoder:
 
     def piece_numbers(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(numbers of pieces in this encoder, bounds by text) of texts with regular white space."""
-        if len(self.number) > CACHE_PIECES:
+        if len(self.number) > self.limit:
             self._trim()
         lists = pc.split_pattern(texts, " ")
         bounds = np.asarray(lists.offsets).astype(np.int64)
