@@ -58,8 +58,7 @@ def statistics(docs: DataFrame) -> DataFrame:
         "sentence_words": F.log1p(F.col("n_words") / (F.col("n_ends") + 1)),
     }
     return (
-        measured(docs)
-        .select("*", *(c.alias(n) for n, c in own.items()))
+        measured(only(docs, "doc_id", "text"), more=own)
         .select("doc_id", F.array(*(named[n].cast("double") for n in STATISTICS)).alias("stats"))
     )
 

@@ -72,8 +72,9 @@ def _exact_starts(words: Column) -> Column:
     return let(F.array_sort(F.transform(F.sequence(F.lit(0), F.size(words) - 3), window)), of)
 
 
-def measured(docs: DataFrame, rest: str | None = None) -> DataFrame:
-    """doc_id and the counts of every whole text (and the column ``rest``, untouched).
+def measured(docs: DataFrame, rest: str | None = None, more: dict[str, Column] | None = None) -> DataFrame:
+    """doc_id and the counts of every whole text (and the column ``rest``, untouched, and the columns ``more``, which may
+    use ``text`` and ``words``).
 
     Each step is a projection whose columns the next one uses several times, so Spark computes them once.  Windows are
     compared by one primitive sort of (40 bits of the hash, place); where two neighbours share these bits but not their
@@ -86,7 +87,7 @@ def measured(docs: DataFrame, rest: str | None = None) -> DataFrame:
     rows = docs.select("doc_id", *through, whole_text().alias("text"))
     gone = lambda chars: F.length("text") - F.length(F.translate("text", chars, ""))
     rows = rows.select(
-        "doc_id", *through, gone(SYMBOLS).cast("long").alias("n_symbols"), words_of(F.col("text")).alias("words"),
+        "doc_id", *through, *(["text"] if more else []), gone(SYMBOLS).cast("long").alias("n_symbols"), words_of(F.col("text")).alias("words"),
         F.filter(F.split("text", "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]")).alias("lines"),
     )
     word, lines = F.col("words"), F.col("lines")
@@ -100,8 +101,9 @@ def measured(docs: DataFrame, rest: str | None = None) -> DataFrame:
         F.size(F.filter(word, lambda w: (F.upper(w) == w) & (F.lower(w) != w))).alias("n_upper_words"),
         F.length(F.array_join(word, "")).cast("long").alias("word_chars"),
         F.size(word).cast("long").alias("n_words"),
+        *(c.alias(n) for n, c in (more or {}).items()),
     )
-    done = ["n_symbols", "n_lines", "n_dup_lines", "n_bullet_lines", "n_ellipsis_lines", "n_stop_words", "n_upper_words", "word_chars", "n_words"]
+    done = [*(more or {}), "n_symbols", "n_lines", "n_dup_lines", "n_bullet_lines", "n_ellipsis_lines", "n_stop_words", "n_upper_words", "word_chars", "n_words"]
     key = lambda i: F.xxhash64(word[i], word[i + 1], word[i + 2]).bitwiseAND(F.lit(~place)).bitwiseOR(i.cast("long"))
     windows = F.sort_array(F.transform(F.sequence(F.lit(0), F.size(word) - 3), key))
     rows = rows.select("doc_id", *through, *done, "words", F.when(F.size(word) >= 3, windows).otherwise(none).alias("keys"))
