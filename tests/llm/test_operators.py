@@ -374,6 +374,37 @@ def test_classifier(spark):
     assert all(g.held_out == (zlib.crc32(str(i).encode()) % 3 == 1) for i, g in got.items())
 
 
+def test_classifier_against_a_plain_version(spark, loose_ids):
+    """Moments, random features, normal equations, ridge weights and calibration once more, over rows in memory."""
+    r = np.random.default_rng(4)
+    n = len(quality_classifier.STATISTICS)
+    stats, y = r.normal(3, 2, (700, n)), r.integers(0, 2, 700)
+    stats[:, 0] += 3 * y
+    stats[:5] = stats[5]  # repeated rows
+    keep = r.random(700) < 0.3
+    rows = spark.createDataFrame([(s.tolist(), float(v), bool(k)) for s, v, k in zip(stats, y, keep)], "stats array<double>, y double, calibrate boolean").repartition(5)
+    model = quality_classifier.fit(rows)
+    train, d = stats[~keep], np.random.default_rng(quality_classifier.SEED)
+    width, m = quality_classifier.WIDTH, quality_classifier.FEATURES
+    directions, phases = d.standard_normal((n, m)) / width, d.uniform(0, 2 * np.pi, m)
+
+    def features(x):
+        x = np.clip((x - train.mean(0)) / train.std(0), -6, 6)
+        return np.array([[*(np.sqrt(2 / m) * np.cos(row @ directions + phases)), 1.0] for row in x])
+
+    z = features(train)
+    square, side = sum(np.outer(a, a) for a in z), sum(a * b for a, b in zip(z, y[~keep]))
+    weights = np.linalg.solve(square + quality_classifier.PENALTY * len(train) * np.eye(m + 1) / m, side)
+    assert np.allclose(model.raw(stats), features(stats) @ weights, atol=1e-6)
+    score = model.score(stats)
+    order = np.argsort(model.raw(stats))
+    assert (np.diff(score[order]) >= -1e-12).all() and ((score >= 0.5) == y)[keep].mean() > 0.7
+    # nulls, ids that repeat, clashing columns, and labels that are missing or unknown
+    labels = spark.createDataFrame([(7, 1, 0), (8, None, 0), (None, 1, 0), (99, 0, 0)], "doc_id long, quality int, stats int")
+    got = quality_classifier.classify(loose_ids, labels).collect()
+    assert len(got) == 6 and all(0 <= g.score <= 1 for g in got) and sum(g.doc_id is None for g in got) == 2
+
+
 def test_isotonic():
     x, y = quality_classifier.isotonic(np.arange(6.0), np.array([0, 1, 0, 1, 1, 0.5]), np.ones(6))
     assert (np.diff(y) >= 0).all() and len(x) == len(y)
