@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from walkengine.llm.common import only, read_table, shuffle_partitions, staged
 from walkengine.llm.components import components
-from walkengine.llm.vocab import byte_slices
+from walkengine.llm.vocab import LARGE, byte_slices
 
 #: Words in a shingle; per cent of the union that linked sets share.
 SHINGLE, PERCENT = 5, 75
@@ -56,7 +56,7 @@ def shingle_sets(texts: pa.Array) -> Iterator[np.ndarray]:
     """Sorted distinct 64-bit shingle hashes of every text, in order."""
     from pandas.util import hash_array
 
-    for _, part in byte_slices(pc.fill_null(texts.cast(pa.large_string()), "")):
+    for _, part in byte_slices(pc.fill_null(texts.cast(pa.large_string()), ""), LARGE.slice_bytes):
         lists = pc.ascii_split_whitespace(pc.ascii_lower(part))
         bounds = np.asarray(lists.offsets).astype(np.int64)
         coded = lists.flatten().dictionary_encode()

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from walkengine.llm.common import only, read_table
-from walkengine.llm.vocab import library_encoder
+from walkengine.llm.vocab import LARGE, Room, library_encoder
 
 LENGTH, END_ID, GROUP_DOCS = 4096, 2, 1024
 #: Groups that a task packs, one after the other.
@@ -96,11 +96,11 @@ ENCODED = pa.schema(
 )
 
 
-def encode(docs: DataFrame, path: str, length: int = LENGTH, end_id: int = END_ID, spaced: bool = False) -> DataFrame:
+def encode(docs: DataFrame, path: str, length: int = LENGTH, end_id: int = END_ID, spaced: bool = False, room: Room = LARGE) -> DataFrame:
     """doc_id, doc_tokens, the CRC of each whole sequence, and the ids after these (only they are shuffled)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = library_encoder(path, spaced)
+        encoder = library_encoder(path, spaced, room)
         end = np.array([end_id], "<u4").tobytes()
         for batch in batches:
             for row, ids, bounds in encoder.encode(batch["text"]):
@@ -119,10 +119,10 @@ def encode(docs: DataFrame, path: str, length: int = LENGTH, end_id: int = END_I
     return only(docs, "doc_id", "text").mapInArrow(run, ddl)
 
 
-def pack(docs: DataFrame, path: str, length: int = LENGTH, end_id: int = END_ID, spaced: bool = False, seed: int = 11) -> DataFrame:
+def pack(docs: DataFrame, path: str, length: int = LENGTH, end_id: int = END_ID, spaced: bool = False, seed: int = 11, room: Room = LARGE) -> DataFrame:
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
     groups = max(1, -(-docs.count() // GROUP_DOCS))
-    coded = encode(docs, path, length, end_id, spaced)
+    coded = encode(docs, path, length, end_id, spaced, room)
     deal = F.xxhash64("doc_id", "doc_tokens", "whole_crc", "rest", F.lit(seed))  # ids may be null or repeat
     coded = coded.withColumn("deal", F.pmod(deal, F.lit(groups))).repartition(-(-groups // GROUPS_A_TASK), "deal")
 

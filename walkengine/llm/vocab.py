@@ -15,6 +15,7 @@ import sys
 import types
 from collections.abc import Iterator
 from itertools import chain
+from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
@@ -23,11 +24,17 @@ import pyarrow.compute as pc
 #: The white space of Unicode, as a class of RE2.
 _SPACE = r"[\t-\r \x{85}\x{A0}\x{1680}\x{2000}-\x{200A}\x{2028}\x{2029}\x{202F}\x{205F}\x{3000}]"
 IRREGULAR = rf" {_SPACE}|{_SPACE} |[\x{{1c}}-\x{{1f}}\x{{85}}\x{{180e}}\x{{200b}}\x{{feff}}]"
-#: Pieces that a worker keeps; beyond it only those that came in several slices of text stay, at most half as many (a
-#: matter of memory, not of results).
-CACHE_PIECES = 200_000
-#: Bytes of text that are split at once.
-SLICE_BYTES = 2 << 20
+class Room(NamedTuple):
+    """What a worker may hold (a matter of memory, not of results): pieces (beyond it only those that came in several
+    slices of text stay, at most half as many), cut words, and bytes of text that are split at once."""
+
+    pieces: int
+    words: int
+    slice_bytes: int
+
+
+#: For a job of its own, about 0.6 GB a worker; and for a stage that shares its executors with other stages, 0.35 GB.
+LARGE, SMALL = Room(600_000, 400_000, 8 << 20), Room(200_000, 150_000, 2 << 20)
 
 
 def worker_state(key: tuple, make):
@@ -51,7 +58,7 @@ def load_tokenizer(path: str):
     return tokenizer
 
 
-def byte_slices(texts: pa.Array, limit: int = SLICE_BYTES) -> Iterator[tuple[int, pa.Array]]:
+def byte_slices(texts: pa.Array, limit: int) -> Iterator[tuple[int, pa.Array]]:
     """Runs of rows with about ``limit`` bytes of text each (a longer text is a run of its own)."""
     if not len(texts):
         return
@@ -67,8 +74,6 @@ def byte_slices(texts: pa.Array, limit: int = SLICE_BYTES) -> Iterator[tuple[int
 #: How the two kinds of vocabulary cut a piece before merging; in force for letters of Latin-1 only.
 SPACED_CUT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 WORD_CUT = r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+"
-#: Cut words that a worker keeps.
-CACHE_WORDS = 150_000
 
 
 def _byte_letters() -> dict[int, str]:
@@ -86,9 +91,11 @@ class LibraryCodec:
     no such text but for case); any other piece goes through the whole tokenizer.
     """
 
-    def __init__(self, path: str, spaced: bool):
+    def __init__(self, path: str, spaced: bool, words: int = LARGE.words):
         import regex
 
+        self.limit = words
+
         self.tokenizer, self.lower = load_tokenizer(path), not spaced
         self.model, self.letters, self.known = self.tokenizer.model, _byte_letters(), {}
         self.plain = regex.compile(r"[\t\n\r\x20-\x7e\xa1-\xac\xae-\xff]*").fullmatch
@@ -96,7 +103,7 @@ class LibraryCodec:
 
     def pieces(self, pieces: list[str]) -> list[list[int]]:
         known, tokenize, letters, plain, cut, out, others = self.known, self.model.tokenize, self.letters, self.plain, self.cut, [], []
-        if len(known) > CACHE_WORDS:
+        if len(known) > self.limit:
             known.clear()
         lower, first = self.lower, 0 if self.lower else 1  # a spaced piece begins with its space
         for i, piece in enumerate(pieces):
@@ -131,8 +138,8 @@ class LibraryCodec:
 class PieceEncoder:
     """Ids of whole texts.  ``spaced``: whether a piece after a space is encoded with that space (byte-level BPE)."""
 
-    def __init__(self, codec, spaced: bool, limit: int = CACHE_PIECES):
-        self.codec, self.spaced, self.limit = codec, spaced, limit
+    def __init__(self, codec, spaced: bool, room: Room = LARGE):
+        self.codec, self.spaced, self.limit, self.slice_bytes = codec, spaced, room.pieces, room.slice_bytes
         self._reset()
 
     def _reset(self) -> None:
@@ -208,7 +215,7 @@ class PieceEncoder:
 
     def runs(self, texts: pa.Array) -> Iterator[tuple[int, pa.Array, bool]]:
         """(row, texts, whether their white space is regular).  Null counts as empty."""
-        for begin, part in byte_slices(pc.fill_null(texts.cast(pa.large_string()), "")):
+        for begin, part in byte_slices(pc.fill_null(texts.cast(pa.large_string()), ""), self.slice_bytes):
             irregular = np.asarray(pc.match_substring_regex(part, IRREGULAR))
             edges = np.flatnonzero(np.diff(irregular.astype(np.int8))) + 1
             for a, b in zip([0, *edges], [*edges, len(part)]):
@@ -225,6 +232,6 @@ class PieceEncoder:
                 yield row + i, ids, np.array([0, len(ids)])
 
 
-def library_encoder(path: str, spaced: bool) -> PieceEncoder:
+def library_encoder(path: str, spaced: bool, room: Room = LARGE) -> PieceEncoder:
     """The worker's encoder for a vocabulary file of the ``tokenizers`` library."""
-    return worker_state(("library", path, spaced), lambda: PieceEncoder(LibraryCodec(path, spaced), spaced))
+    return worker_state(("library", path, spaced, room), lambda: PieceEncoder(LibraryCodec(path, spaced, room.words), spaced, room))
