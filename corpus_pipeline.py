@@ -9,6 +9,7 @@ from walkengine.llm.minhash_forest import drop_near_copies
 from walkengine.llm.packing import pack
 from walkengine.llm.quality_rules import filter_documents
 from walkengine.llm.suffix_dedup import remove_repeats
+from walkengine.llm.vocab import SMALL
 from walkengine.session import read_table, staged
 
 
@@ -16,7 +17,7 @@ def pack_documents(docs: DataFrame) -> DataFrame:
     """The pieces of all sequences, by the vocabulary that op10 uses."""
     import public_tokenizers
 
-    return pack(docs, public_tokenizers.path("word_bpe_49k.json"))
+    return pack(docs, public_tokenizers.path("word_bpe_49k.json"), room=SMALL)
 
 
 #: (name, function of (spark, docs, sf_dir)); each works on all that its predecessor kept.
