@@ -11,7 +11,8 @@ from walkengine.operators import registry
 
 SF = "/root/testdata/sf0.001"
 QUICK = ["graph_basket_edges", "graph_trade_edges", "graph_links_edges", "in_positions_basket", "label_histogram_cube", "basket_walks_p2", "walks_to_target_list",
-         "session_accepts_p7", "events_session_windows", "asof_next_event", "stream_hourly_labels", "stream_user_automaton", "cheapest_walks_ties"]
+         "session_accepts_p7", "events_session_windows", "asof_next_event", "stream_hourly_labels", "stream_user_automaton", "cheapest_walks_ties",
+         "chosen_plans", "sql_nfa_accepts", "sql_pattern_transitions", "graph_files_round_trip", "measure_emission", "geo_region_mates", "basket_walks_p4"]
 NAMES = sorted(registry.oracle_sql()) if os.environ.get("WALKENGINE_ALL") else QUICK
 
 

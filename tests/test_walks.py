@@ -8,7 +8,10 @@ from walkengine.baselines import methods as base
 from walkengine.core import dag as answer
 from walkengine.core import local
 from walkengine.core.cheapest import cheapest_walks
-from walkengine.core.search import back_links, layer_forward, minimal_lengths_from, minimal_walks, minimal_walks_batch, pair
+from walkengine.core.runs import count_runs
+from walkengine.core.search import (
+    back_links, choose_plan, layer_forward, minimal_lengths_from, minimal_walks, minimal_walks_batch, minimal_walks_of_patterns, pair,
+)
 from walkengine.graph import views
 from walkengine.graph.model import LabeledGraph
 from walkengine.lang.automata import Nfa
@@ -168,3 +171,34 @@ def test_level_loop_has_no_distinct_and_no_python(demo):
     g, layers, _ = demo
     plan = back_links(layers)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "CartesianProduct" not in plan and "Aggregate" not in plan
+
+
+def test_edges_stay_in_their_buckets(spark, demo):
+    _, layers, _ = demo
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plan = layers.reach.join(layers.edges, layers.reach.vertex == layers.edges.src)._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+    assert "Bucketed: true" in plan and plan.count("Exchange") == 1
+
+
+def test_plans_patterns_runs_tokens_and_lazy_closure(spark, demo):
+    g, layers, _ = demo
+    assert choose_plan(g, P1) == "general" and choose_plan(g, P2) == "general"
+    single = LabeledGraph(g.edges.withColumn("labels", F.slice("labels", 1, 1)))
+    assert choose_plan(single, P1) == "simple" and choose_plan(single, P2) == "general"
+    both = [sorted(map(tuple, minimal_walks(single, P1, "A", "B", plan=p).select("length", "edge_path", "vertex_path").collect())) for p in ("auto", "general")]
+    assert both[0] == both[1] != []
+    by = Counter(r.pattern for r in minimal_walks_of_patterns(g, {"one": P1, "two": P2, "three": P3}, "A", "B").collect())
+    assert by == {"one": 4, "two": 4, "three": 2}
+    after = {r.edge_path: int(r.multiplicity) for r in count_runs(spark.createDataFrame([(w,) for w in DEMO], "edge_path string"), g, P1).collect()}
+    assert after == DEMO
+    d = answer.build(layers)
+    order = [r.edge_path for r in answer.page(d, 0, 10).orderBy("rank").collect()]
+    assert [answer.rank_of(d, w.split(">")) for w in order] == [0, 1, 2, 3] and answer.rank_of(d, ["e1", "e7"]) is None
+    two = graph(spark, [("e1", "s", "t", ["a"]), ("e2", "s", "t", ["a"]), ("e3", "t", "s", ["b"])])
+    for pattern, s, t in (("(a|b)* a (b|())", "s", "t"), ("a? (b a)*", "t", "t"), ("(a b)+", "s", "s")):
+        found = [sorted(r.edge_path for r in minimal_walks(two, pattern, s, t, eps=e).collect()) for e in ("eager", "lazy")]
+        assert found[0] == found[1] != []
