@@ -29,3 +29,29 @@ def words_of(text: Column, gap: str = BLANK_RUN) -> Column:
 def only(docs: DataFrame, *names: str) -> DataFrame:
     """The named columns alone, so that further columns of a table never clash with derived ones."""
     return docs.select(*(F.col(f"`{n}`") for n in names))
+
+
+def free_name(docs: DataFrame, name: str) -> str:
+    """A name that no column of ``docs`` has, upper and lower case alike."""
+    taken = {c.lower() for c in docs.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+def spread_join(left: DataFrame, right: DataFrame, key: str | list[str], weight: str, how: str = "left") -> DataFrame:
+    """``left`` joined on ``key`` (one column or several) with ``right``, a staged table of one row a key whose ``weight`` is at least the number of
+    rows that ``left`` has with the key.
+
+    A key with more than an even task's share of the weight has its row of ``right`` repeated, and its rows of ``left``
+    dealt over as many tasks as its weight fills.  There are fewer such keys than tasks and at most twice as many repeated
+    rows, however large the tables, which bounds what is broadcast.  A null key joins nothing, as in any join."""
+    tasks = shuffle_partitions(left.sparkSession)
+    keys = [key] if isinstance(key, str) else key
+    total = right.agg(F.sum(weight)).first()[0] or 1
+    share = F.greatest(F.lit(1), F.ceil(F.col(weight) * tasks / total)).cast("int")
+    hot = right.withColumn("_deals", share).where("_deals > 1").select(*keys, "_deals")
+    dealt = right.withColumn("_deal", F.explode(F.sequence(F.lit(0), share - 1)))
+    rows = left.join(F.broadcast(hot), keys, "left")
+    rows = rows.withColumn("_deal", F.when(F.col("_deals").isNull(), 0).otherwise(F.pmod(F.xxhash64(*left.columns), "_deals"))).drop("_deals")
+    return rows.join(dealt, [*keys, "_deal"], how).drop("_deal")

@@ -1,12 +1,13 @@
 """Exact de-duplication by a Golomb-coded exchange of fingerprints.
 
-1. Each source (the scan partitions, in as many sets as there are shuffle partitions) sorts the 64-bit fingerprints of its texts, codes the gaps of every owner's share with
-   Golomb-Rice codes and sends one row per owner.
+1. Each source (scan partitions, cut by hash where they hold many documents) sorts the 64-bit fingerprints of its texts,
+   codes the gaps of every owner's share with Golomb-Rice codes and sends one row per owner.
 2. An owner merges the lists it got and answers each source with a bitmap over the list which that source sent:
    bit set = another source has the fingerprint too.
 3. A source marks its documents whose bit is set, or whose fingerprint it holds twice itself, as suspects.
 4. Only suspects are shuffled with their bytes: grouping by (digest, text) compares whole texts, and its partial
    aggregation leaves one row per task for a text however often it is repeated, so a hot group stays small.
+5. Verified groups are joined back to their documents; the documents of a large group are dealt over several tasks.
 
 Of equal texts the row with the largest doc_id stays.  A null text counts as empty, and empty texts are equal.
 A null doc_id counts as smaller than any other.  Repeated rows (equal doc_id and text) count in ``group_size``; further columns pass through ``drop_copies``.
@@ -22,7 +23,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from walkengine.llm.common import only, read_table, shuffle_partitions, staged, whole_text
+from walkengine.llm.common import only, read_table, shuffle_partitions, spread_join, staged, whole_text
+
+#: Documents of a source, and fingerprints of an owner, on average at most.
+SOURCE = 1 << 21
 
 
 def rice_encode(values: np.ndarray) -> tuple[int, bytes]:
@@ -101,24 +105,28 @@ def groups(docs: DataFrame) -> DataFrame:
     spark = docs.sparkSession
     rows = only(docs, "doc_id", "text").select("doc_id", whole_text().alias("text"))
     digest = F.sha2(F.encode("text", "UTF-8"), 256)
+    tasks = shuffle_partitions(spark)
     hashed = staged(
-        rows.select(
-            "doc_id",
-            digest.alias("text_sha256"),
-            F.pmod(F.spark_partition_id(), F.lit(shuffle_partitions(spark))).alias("source"),
-        ).withColumn("fingerprint", F.xxhash64("text_sha256")),
+        rows.select("doc_id", digest.alias("text_sha256"), F.pmod(F.spark_partition_id(), F.lit(tasks)).alias("scan")).withColumn(
+            "fingerprint", F.xxhash64("text_sha256")
+        ),
         "fingerprints",
     )
-    suspect = suspects(hashed.select("source", "doc_id", "fingerprint"), shuffle_partitions(spark))
-    verified = (
+    # a source and an owner are held whole by a task, so there are more of them where there are more documents
+    parts = 1 + hashed.count() // (tasks * SOURCE)
+    source = F.col("scan") * F.lit(parts) + F.pmod(F.xxhash64("fingerprint", "doc_id"), F.lit(parts))
+    sent = hashed.select(source.cast("int").alias("source"), "doc_id", "fingerprint")
+    suspect = suspects(sent, tasks * parts)
+    verified = staged(
         rows.join(suspect.withColumnRenamed("doc_id", "_suspect"), F.col("doc_id").eqNullSafe(F.col("_suspect")), "left_semi")
         .groupBy(digest.alias("text_sha256"), "text")
         .agg(F.max("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
         .where("group_size > 1")
-        .select("text_sha256", "keep_id", "group_size")
+        .select("text_sha256", "keep_id", "group_size"),
+        "groups",
     )
     return (
-        hashed.join(verified, "text_sha256", "left")
+        spread_join(hashed.select("doc_id", "text_sha256"), verified, "text_sha256", "group_size")
         .select(
             "doc_id",
             F.when(F.col("group_size").isNull(), F.col("doc_id")).otherwise(F.col("keep_id")).alias("keep_id"),
