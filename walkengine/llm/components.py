@@ -5,15 +5,15 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from walkengine.llm.common import staged
+from walkengine.llm.common import spread_join, staged
 
 
 def components(edges: DataFrame) -> DataFrame:
     """(node, component) of every node of ``edges`` (a, b); component is the smallest node that can be reached.
 
     Each round maps a node to the one among itself and its neighbours whose hash comes first (another hash each round,
-    so chains shrink by a constant factor), and goes on with the edges between different images.  Minima are taken by
-    partial aggregation, so a hub with very many neighbours is no task's burden.
+    so chains shrink by a constant factor), and goes on with the edges between different images.  Minima and counts are
+    taken by partial aggregation, and the joins deal the rows of a hub or of a large component over several tasks.
     """
     edges = staged(edges.where("a <> b").select("a", "b").distinct(), "edges")
     at = staged(edges.select(F.explode(F.array("a", "b")).alias("node")).distinct().withColumn("now", F.col("node")), "nodes")
@@ -22,12 +22,14 @@ def components(edges: DataFrame) -> DataFrame:
         turn += 1
         mark = lambda c: F.struct(F.xxhash64(c, F.lit(turn)).alias("h"), F.col(c).alias("to"))  # noqa: B023, E731
         both = edges.select("a", "b").union(edges.select("b", "a"))
-        image = both.groupBy("a").agg(F.min(mark("b")).alias("near")).select("a", F.least("near", mark("a"))["to"].alias("to"))
-        image = staged(image, "images")
-        moved = edges.join(image, "a").select(F.col("to").alias("x"), F.col("b").alias("a")).join(image, "a")
+        image = both.groupBy("a").agg(F.min(mark("b")).alias("near"), F.count("*").alias("n"))
+        image = staged(image.select("a", F.least("near", mark("a"))["to"].alias("to"), "n"), "images")
+        moved = spread_join(edges, image, "a", "n", "inner").select(F.col("to").alias("x"), F.col("b").alias("a"))
+        moved = spread_join(moved, image, "a", "n", "inner").select(F.col("x").alias("a"), F.col("to").alias("b"))
+        met = at.groupBy("now").agg(F.count("*").alias("n")).join(image.select(F.col("a").alias("now"), "to"), "now", "left")
         at = staged(
-            at.join(image.withColumnRenamed("a", "now"), "now", "left").select("node", F.coalesce("to", "now").alias("now")), "nodes"
+            spread_join(at, staged(met, "met"), "now", "n").select("node", F.coalesce("to", "now").alias("now")), "nodes"
         )
-        edges = staged(moved.select(F.col("x").alias("a"), F.col("to").alias("b")).where("a <> b").distinct(), "edges")
-    least = at.groupBy("now").agg(F.min("node").alias("component"))
-    return at.join(least, "now").select("node", "component")
+        edges = staged(moved.where("a <> b").distinct(), "edges")
+    least = staged(at.groupBy("now").agg(F.min("node").alias("component"), F.count("*").alias("n")), "least")
+    return spread_join(at, least, "now", "n", "inner").select("node", "component")

@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from walkengine.llm.common import only, read_table, shuffle_partitions, staged
+from walkengine.llm.common import only, read_table, shuffle_partitions, spread_join, staged
 from walkengine.llm.components import components
 from walkengine.llm.vocab import LARGE, byte_slices
 
@@ -156,8 +156,8 @@ def candidates(reps: DataFrame) -> tuple[DataFrame, DataFrame]:
 
     # a document that shares its least prefix with no other in an order has no neighbour there, and stays out of it
     crowns = reps.mapInArrow(crown, "crown long, doc_id long")
-    shared = crowns.groupBy("crown").count().where("count > 1").select("crown")
-    trees = crowns.join(shared, "crown", "left_semi").groupBy("doc_id").agg(F.collect_set(F.shiftright("crown", 16 * PREFIX).cast("int")).alias("trees"))
+    shared = staged(crowns.groupBy("crown").count().where("count > 1"), "crowns")
+    trees = spread_join(crowns, shared, "crown", "count", "left_semi").groupBy("doc_id").agg(F.collect_set(F.shiftright("crown", 16 * PREFIX).cast("int")).alias("trees"))
     reps = reps.join(trees, "doc_id")
 
     def plant(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -256,7 +256,7 @@ def whole_runs(planted: DataFrame, at: DataFrame) -> DataFrame:
     # runs of one block share tiles, so that a tile is worth a call
     n, w = mixed.where("blocks = 1").agg(F.sum("n"), F.sum("w")).first()
     shared = 1 + max((n or 0) // BLOCK_ROWS, (w or 0) // BLOCK_SHINGLES)
-    rows = rows.join(mixed.select(*run, "blocks"), run)
+    rows = spread_join(rows, mixed.select(*run, "blocks", "n"), run, "n", "inner").drop("n")
     hashed = F.xxhash64(*run)
     rows = rows.withColumn("part", F.when(F.col("blocks") == 1, F.pmod(hashed, F.lit(shared))).otherwise(hashed))
     rows = rows.withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
