@@ -9,10 +9,13 @@ import numpy as np
 import public_tokenizers as public
 import pytest
 import tiktoken
+from pyspark.sql import functions as F
 
 from walkengine.llm import (
     bpe_codec, exact_dedup, html_extract, license_scan, minhash_forest, packing, quality_classifier, quality_rules, suffix_dedup, token_output,
 )
+from walkengine.llm.common import spread_join
+from walkengine.llm.components import components
 from walkengine.llm.vocab import load_tokenizer
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, kept boolean, words string, word_count int, keep_id long"
@@ -359,6 +362,56 @@ def test_suffix_dedup(docs):
     assert cut[3].text == TEXTS[3] and suffix_dedup.remove_repeats(docs).columns == docs.columns
 
 
+def test_suffix_dedup_of_clashing_names(spark, docs):
+    named = docs.withColumn("_span_id", F.lit(-1)).withColumn("_SPANS", F.lit("x"))
+    got = suffix_dedup.remove_repeats(named)
+    assert got.columns == named.columns
+    assert {r.doc_id: r.text for r in got.collect()} == {r.doc_id: r.text for r in suffix_dedup.remove_repeats(docs).collect()}
+
+
+def test_windows_with_equal_hashes_are_told_apart_by_bytes(monkeypatch):
+    r = random.Random(9)
+    shared = bytes(r.choice(b"abc") for _ in range(160))
+    whole = [bytes(r.choice(b"abc") for _ in range(r.randint(100, 300))) + shared * (k % 3 > 0) for k in range(12)]
+    ids, begins = np.arange(12) + 50, np.arange(12) * 7
+
+    def spans():
+        batch, firsts = suffix_dedup._equal_windows(whole, ids, begins, 0)
+        return batch.to_pylist(), {whole[i][s : s + 100]: (i, s) for i, s in firsts}
+
+    exact = spans()
+    assert exact[0]
+    monkeypatch.setattr(suffix_dedup.Buffer, "hashes", lambda self, begin, end: np.asarray(self.bytes[begin] % 2, np.uint64))
+    assert spans() == exact
+
+
+def test_suffix_dedup_with_little_memory(docs, monkeypatch):
+    want = by_id(suffix_dedup.digests(docs))
+    monkeypatch.setattr(suffix_dedup, "SEEN", 100)
+    assert by_id(suffix_dedup.digests(docs)) == want
+
+
+def test_spread_join_deals_a_hot_key(spark, request):
+    left = spark.range(4000).select(F.col("id").alias("x"), F.when(F.col("id") % 3 > 0, 7).otherwise(F.col("id") % 500).alias("k"))
+    left = left.union(spark.sql("SELECT 9999L, CAST(NULL AS LONG)"))
+    right = left.where("k < 400").groupBy("k").agg(F.count("*").alias("n"), F.max("x").alias("y"))
+    got = spread_join(left, right, "k", "n").select("x", "k", "y")
+    assert sorted(map(str, got.collect())) == sorted(map(str, left.join(right, "k", "left").select("x", "k", "y").collect()))
+    for name, value in (("spark.sql.adaptive.enabled", "false"), ("spark.sql.shuffle.partitions", "64"), ("spark.sql.autoBroadcastJoinThreshold", "-1")):
+        before = spark.conf.get(name)
+        request.addfinalizer(lambda name=name, before=before: spark.conf.set(name, before))
+        spark.conf.set(name, value)
+    tasks = spread_join(left, right, "k", "n", "inner").groupBy(F.spark_partition_id().alias("p")).count()
+    assert max(r["count"] for r in tasks.collect()) < 600
+    assert spread_join(left, right.limit(0), "k", "n").count() == 4001
+
+
+def test_components_of_a_hub_and_a_path(spark):
+    edges = [(5, k) for k in range(100, 1600)] + [(k, k + 1) for k in range(5000, 5200)] + [(3, 2)]
+    got = {r.node: r.component for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert got == {5: 5, 2: 2, 3: 2} | {k: 5 for k in range(100, 1600)} | {k: 5000 for k in range(5000, 5201)}
+
+
 def test_multikey_quicksort():
     r = random.Random(6)
     keys = [bytes(r.choice(b"ab\0") for _ in range(r.randint(0, 40))) for _ in range(2000)] + [b"a" * 30] * 200

@@ -8,7 +8,8 @@ Every byte that a 100-byte string covers which also starts earlier (smaller doc_
 3. The remaining suffixes carry the bytes of all windows that share the anchor.  Suffixes with equal bytes collapse
    within a task to the earliest.  The rest is range-partitioned by leading bytes with sampled splitters (ties go on
    to the bytes before the anchor and the place, so that a bucket is never one key), and each bucket is sorted by
-   multikey quicksort.  Suffixes that share 32 leading bytes are neighbours then, and windows among them compared.
+   multikey quicksort.  Suffixes that share 32 leading bytes are neighbours then; windows among them meet by their
+   hashes and count as equal if their bytes are.
 4. A run of neighbours at a bucket's border may go on in the next bucket: its windows are compared across buckets by
    a minimum over equal windows, with partial aggregation.
 
@@ -27,7 +28,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from walkengine.llm.common import only, read_table, shuffle_partitions, staged, whole_text
+from walkengine.llm.common import free_name, only, read_table, shuffle_partitions, spread_join, staged, whole_text
 from walkengine.llm.minhash_forest import _mix
 from walkengine.llm.vocab import byte_slices, worker_state
 
@@ -35,6 +36,8 @@ from walkengine.llm.vocab import byte_slices, worker_state
 REPEAT, ANCHOR = 100, 32
 SPREAD = REPEAT - ANCHOR + 1
 SLICE = 4 << 20
+#: Bytes of suffixes that a task remembers.
+SEEN = 32 << 20
 #: Buckets and their parts this small are sorted by comparing whole suffixes.
 SMALL = 48
 
@@ -141,10 +144,11 @@ def _joined(begin: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]
 
 def suffixes(docs: DataFrame, places: DataFrame) -> DataFrame:
     """Suffixes at the given places (doc_id, places), with the bytes of their windows; rows without a suffix are spans
-    that an equal suffix earlier in the task covers."""
+    that a suffix of equal bytes earlier in the task covers."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: dict[tuple[int, int], tuple[int, int]] = {}
+        seen: dict[tuple[int, bytes], tuple[int, int]] = {}
+        held = 0
         for batch in batches:
             ids, wanted = batch["doc_id"].to_pylist(), batch["places"]
             for row, buffer in buffers(batch):
@@ -154,14 +158,12 @@ def suffixes(docs: DataFrame, places: DataFrame) -> DataFrame:
                 own = np.asarray(lists.flatten()).astype(np.int64) + np.repeat(buffer.bounds[:-1], sizes)
                 take = np.isin(anchor, own)
                 doc, anchor, low, high = (x[take] for x in (doc, anchor, low, high))
-                shape = ((anchor - low) * SPREAD + (high - low)).astype(np.uint64)
-                key = buffer.hashes(low, high + REPEAT)
-                other = _mix(key ^ (buffer.hashes(anchor, anchor + ANCHOR) + shape))
                 data, out = buffer.bytes.tobytes(), ([], [], [], [], [])
-                for d, a, lo, hi, k in zip(doc.tolist(), anchor.tolist(), low.tolist(), high.tolist(), zip(key.tolist(), other.tolist())):
+                for d, a, lo, hi in zip(doc.tolist(), anchor.tolist(), low.tolist(), high.tolist()):
                     at = ids[row + d], lo - int(buffer.bounds[d])
-                    first = seen.setdefault(k, at)
-                    if first == at:
+                    windows = a - lo, data[lo : hi + REPEAT]
+                    if seen.setdefault(windows, at) == at:
+                        held += len(windows[1])
                         out[0].append(data[a : hi + REPEAT])
                         out[1].append(data[lo:a])
                     else:
@@ -171,6 +173,9 @@ def suffixes(docs: DataFrame, places: DataFrame) -> DataFrame:
                     out[3].append(at[1])
                     out[4].append(at[1] + hi - lo + REPEAT)
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, SUFFIX.types)], schema=SUFFIX)
+                if held > SEEN:  # what is forgotten goes on as one more suffix, and the buckets compare it
+                    seen.clear()
+                    held = 0
 
     joined = docs.join(places, "doc_id").select("doc_id", "text", "places").sortWithinPartitions("doc_id")
     return joined.mapInArrow(run, SUFFIX_DDL)
@@ -245,6 +250,16 @@ def repeats(found: DataFrame) -> DataFrame:
 REPEATED = pa.schema([("doc_id", pa.int64()), ("begin", pa.int32()), ("end", pa.int32()), ("window", pa.binary())])
 
 
+def same_bytes(data: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """Whether the REPEAT bytes from ``left`` on are those from ``right`` on, eight at a time."""
+    out = np.ones(len(left), bool)
+    if len(left):
+        words = np.ndarray(len(data) - 7, np.uint64, np.ascontiguousarray(data), strides=(1,))
+        for at in [*range(0, REPEAT - 8, 8), REPEAT - 8]:
+            out &= words[left + at] == words[right + at]
+    return out
+
+
 def _equal_windows(whole: list[bytes], ids: np.ndarray, begins: np.ndarray, open_from: int) -> tuple[pa.RecordBatch, list[tuple[int, int]]]:
     """(spans of windows that equal an earlier one here, (row, shift) of the earliest of each window from row
     ``open_from`` on)."""
@@ -256,9 +271,19 @@ def _equal_windows(whole: list[bytes], ids: np.ndarray, begins: np.ndarray, open
     value = buffer.hashes(start, start + REPEAT)
     doc, place = ids[row], begins[row] + shift
     order = np.lexsort((place, doc, value))
-    value, doc, place, row, shift = (x[order] for x in (value, doc, place, row, shift))
+    value, doc, place, row, shift, start = (x[order] for x in (value, doc, place, row, shift, start))
     fresh = np.ones(len(value), bool)
     fresh[1:] = value[1:] != value[:-1]
+    again = np.flatnonzero(~fresh)
+    unlike = ~same_bytes(buffer.bytes, start[again], start[again - 1])
+    if unlike.any():  # windows of equal hashes and other bytes: these hashes' windows are grouped by their bytes
+        twins = np.flatnonzero(np.isin(value, value[again[unlike]]))
+        number: dict[bytes, int] = {}
+        kind = np.array([number.setdefault(buffer.bytes[b : b + REPEAT].tobytes(), len(number)) for b in start[twins].tolist()])
+        order = np.lexsort((place[twins], doc[twins], kind))
+        for x in (value, doc, place, row, shift):
+            x[twins] = x[twins][order]
+        fresh[twins] = np.diff(kind[order], prepend=-1) != 0
     opened = np.flatnonzero(fresh & (row >= open_from))
     firsts = list(zip(row[opened].tolist(), shift[opened].tolist()))
     group = np.maximum.accumulate(np.where(fresh, np.arange(len(value)), 0)) if len(value) else np.zeros(0, np.int64)
@@ -276,8 +301,8 @@ def _equal_windows(whole: list[bytes], ids: np.ndarray, begins: np.ndarray, open
 def removed_spans(docs: DataFrame) -> DataFrame:
     """doc_id and spans (arrays of begin, end in order, in bytes; they may overlap) of documents that lose bytes."""
     rows = only(docs, "doc_id", "text").where("doc_id IS NOT NULL").select("doc_id", whole_text().alias("text"))
-    frequent = anchor_hashes(rows, places=False).groupBy("gram").count().where("count > 1").select("gram")
-    places = anchor_hashes(rows, places=True).join(frequent, "gram", "left_semi")
+    frequent = staged(anchor_hashes(rows, places=False).groupBy("gram").count().where("count > 1"), "anchors")
+    places = spread_join(anchor_hashes(rows, places=True), frequent, "gram", "count", "left_semi")
     places = places.groupBy("doc_id").agg(F.collect_set("place").alias("places"))
     found = staged(suffixes(rows, places), "suffixes")
     here = found.where("suffix IS NULL").select("doc_id", "begin", "end")
@@ -329,22 +354,24 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     """The documents without repeated passages, n_chars set anew.  A character that loses a byte goes as a whole;
     documents of which no word is left go."""
 
+    key, cuts = free_name(docs, "_span_id"), free_name(docs, "_spans")
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = batch["text"].to_pylist()
-            for i, spans in enumerate(batch["_spans"].to_pylist()):
+            for i, spans in enumerate(batch[cuts].to_pylist()):
                 if spans:
                     texts[i] = _kept((texts[i] or "").encode(), spans)[0].decode("utf-8", "ignore")
             columns = dict(zip(batch.schema.names, batch.columns)) | {"text": pa.array(texts, pa.string())}
             if "n_chars" in columns:
                 sizes = pa.array([None if t is None else len(t) for t in texts]).cast(columns["n_chars"].type)
-                columns["n_chars"] = pc.if_else(pc.is_null(columns["_spans"]), columns["n_chars"], sizes)
-            blank = [s is not None and not (t or "").strip() for s, t in zip(columns.pop("_spans"), texts)]
+                columns["n_chars"] = pc.if_else(pc.is_null(columns[cuts]), columns["n_chars"], sizes)
+            blank = [s is not None and not (t or "").strip() for s, t in zip(columns.pop(cuts), texts)]
             kept = pa.RecordBatch.from_arrays(list(columns.values()), names=list(columns))
             yield kept.filter(pa.array([not b for b in blank], pa.bool_()))
 
-    spans = removed_spans(docs).select(F.col("doc_id").alias("_span_id"), F.col("spans").alias("_spans"))
-    joined = docs.join(spans, docs["doc_id"] == spans["_span_id"], "left").drop("_span_id")
+    spans = removed_spans(docs).select(F.col("doc_id").alias(key), F.col("spans").alias(cuts))
+    joined = docs.join(spans, docs["doc_id"] == spans[key], "left").drop(key)
     return joined.mapInArrow(run, docs.schema)
 
 
