@@ -81,27 +81,24 @@ class Buffer:
         if n < REPEAT:
             return none, none, none, none
         grams = n - ANCHOR + 1
-        value = _mix((self.prefix[ANCHOR:] - self.prefix[:grams]) * self.down[:grams])
-        place = np.arange(grams, dtype=np.int32)
+        # 32 bits of a hash, then the place: the least of a stretch is its anchor, and the first of equal hashes wins
+        value = (self.prefix[ANCHOR:] - self.prefix[:grams]) * self.down[:grams]
+        value &= np.uint64(0xFFFFFFFF00000000)
+        value |= np.arange(grams, dtype=np.uint64)
         width = 1
-        while width < SPREAD:  # windows twice as wide, then the rest; the first of equal values wins
+        while width < SPREAD:  # stretches twice as wide, then the rest
             step = min(width, SPREAD - width)
-            left, right = value[:-step], value[step:]
-            later = right < left
-            place = np.where(later, place[step:], place[:-step])
-            value = np.where(later, right, left)
+            value = np.minimum(value[:-step], value[step:])
             width += step
-        sizes = np.diff(self.bounds)
-        counts = np.maximum(0, sizes - REPEAT + 1)
-        doc = np.repeat(np.arange(len(sizes)), counts)
-        if not len(doc):
-            return none, none, none, none
-        window = np.arange(len(doc)) - np.repeat(np.cumsum(counts) - counts, counts) + np.repeat(self.bounds[:-1], counts)
-        anchor = place[window].astype(np.int64)
-        fresh = np.flatnonzero((np.diff(anchor) != 0) | (np.diff(doc) != 0)) + 1
-        first = np.concatenate([[0], fresh])
-        last = np.concatenate([fresh, [len(doc)]]) - 1
-        return doc[first], anchor[first], window[first], window[last]
+        place = value.astype(np.uint32)
+        ends = self.bounds[1:] - REPEAT
+        fresh = np.flatnonzero(place[1:] != place[:-1]) + 1
+        first = np.unique(np.concatenate([fresh, self.bounds[:-1][self.bounds[:-1] <= ends]]))
+        doc = np.searchsorted(self.bounds, first, "right") - 1
+        inside = first <= ends[np.minimum(doc, len(ends) - 1)]
+        first, doc = first[inside], doc[inside]
+        last = np.minimum(np.append(first[1:] - 1, n), ends[doc])
+        return doc, place[first].astype(np.int64), first, last
 
 
 def buffers(batch: pa.RecordBatch) -> Iterator[tuple[int, Buffer]]:
@@ -263,34 +260,37 @@ def same_bytes(data: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndar
 def _equal_windows(whole: list[bytes], ids: np.ndarray, begins: np.ndarray, open_from: int) -> tuple[pa.RecordBatch, list[tuple[int, int]]]:
     """(spans of windows that equal an earlier one here, (row, shift) of the earliest of each window from row
     ``open_from`` on)."""
-    buffer = Buffer(pa.array(whole, pa.large_binary()))
+    # a window belongs to one row, so windows of sorted rows are in order of place, and a stable sort by hash keeps it
+    by_place = np.lexsort((begins, ids))
+    buffer = Buffer(pa.array([whole[i] for i in by_place.tolist()], pa.large_binary()))
     counts = np.maximum(0, np.diff(buffer.bounds) - REPEAT + 1)
     row = np.repeat(np.arange(len(whole)), counts)
     shift = np.arange(len(row)) - np.repeat(np.cumsum(counts) - counts, counts)
     start = buffer.bounds[:-1][row] + shift
-    value = buffer.hashes(start, start + REPEAT)
+    row = by_place[row]
     doc, place = ids[row], begins[row] + shift
-    order = np.lexsort((place, doc, value))
-    value, doc, place, row, shift, start = (x[order] for x in (value, doc, place, row, shift, start))
+    value = buffer.hashes(start, start + REPEAT)
+    order = np.argsort(value, kind="stable")
+    value = value[order]
     fresh = np.ones(len(value), bool)
     fresh[1:] = value[1:] != value[:-1]
     again = np.flatnonzero(~fresh)
-    unlike = ~same_bytes(buffer.bytes, start[again], start[again - 1])
+    unlike = ~same_bytes(buffer.bytes, start[order[again]], start[order[again - 1]])
     if unlike.any():  # windows of equal hashes and other bytes: these hashes' windows are grouped by their bytes
         twins = np.flatnonzero(np.isin(value, value[again[unlike]]))
         number: dict[bytes, int] = {}
-        kind = np.array([number.setdefault(buffer.bytes[b : b + REPEAT].tobytes(), len(number)) for b in start[twins].tolist()])
-        order = np.lexsort((place[twins], doc[twins], kind))
-        for x in (value, doc, place, row, shift):
-            x[twins] = x[twins][order]
-        fresh[twins] = np.diff(kind[order], prepend=-1) != 0
-    opened = np.flatnonzero(fresh & (row >= open_from))
+        kind = np.array([number.setdefault(buffer.bytes[b : b + REPEAT].tobytes(), len(number)) for b in start[order[twins]].tolist()])
+        by_kind = np.argsort(kind, kind="stable")
+        order[twins] = order[twins][by_kind]
+        fresh[twins] = np.diff(kind[by_kind], prepend=-1) != 0
+        again = np.flatnonzero(~fresh)
+    opened = order[np.flatnonzero(fresh)]
+    opened = opened[row[opened] >= open_from]
     firsts = list(zip(row[opened].tolist(), shift[opened].tolist()))
-    group = np.maximum.accumulate(np.where(fresh, np.arange(len(value)), 0)) if len(value) else np.zeros(0, np.int64)
-    again = (doc != doc[group]) | (place != place[group])
+    head = np.maximum.accumulate(np.where(fresh, np.arange(len(value)), 0))[again] if len(value) else again
+    again, head = order[again], order[head]
+    again = np.sort(again[(doc[again] != doc[head]) | (place[again] != place[head])])
     doc, place = doc[again], place[again]
-    order = np.lexsort((place, doc))
-    doc, place = doc[order], place[order]
     cut = np.flatnonzero((np.diff(doc) != 0) | (np.diff(place) > REPEAT)) + 1
     first = np.concatenate([[0], cut]).astype(np.int64)[: len(cut) + bool(len(doc))]
     last = np.concatenate([cut, [len(doc)]]).astype(np.int64)[: len(first)] - 1
