@@ -13,7 +13,8 @@ def components(edges: DataFrame) -> DataFrame:
 
     Each round maps a node to the one among itself and its neighbours whose hash comes first (another hash each round,
     so chains shrink by a constant factor), and goes on with the edges between different images.  Minima and counts are
-    taken by partial aggregation, and the joins deal the rows of a hub or of a large component over several tasks.
+    taken by partial aggregation, and the joins of edges deal a hub's rows over several tasks, as the last join does with
+    a large component's; within the rounds a large component's nodes are left to adaptive splitting of skewed joins.
     """
     edges = staged(edges.where("a <> b").select("a", "b").distinct(), "edges")
     at = staged(edges.select(F.explode(F.array("a", "b")).alias("node")).distinct().withColumn("now", F.col("node")), "nodes")
@@ -26,10 +27,8 @@ def components(edges: DataFrame) -> DataFrame:
         image = staged(image.select("a", F.least("near", mark("a"))["to"].alias("to"), "n"), "images")
         moved = spread_join(edges, image, "a", "n", "inner").select(F.col("to").alias("x"), F.col("b").alias("a"))
         moved = spread_join(moved, image, "a", "n", "inner").select(F.col("x").alias("a"), F.col("to").alias("b"))
-        met = at.groupBy("now").agg(F.count("*").alias("n")).join(image.select(F.col("a").alias("now"), "to"), "now", "left")
-        at = staged(
-            spread_join(at, staged(met, "met"), "now", "n").select("node", F.coalesce("to", "now").alias("now")), "nodes"
-        )
+        now = image.select(F.col("a").alias("now"), "to")
+        at = staged(at.join(now, "now", "left").select("node", F.coalesce("to", "now").alias("now")), "nodes")
         edges = staged(moved.where("a <> b").distinct(), "edges")
     least = staged(at.groupBy("now").agg(F.min("node").alias("component"), F.count("*").alias("n")), "least")
     return spread_join(at, least, "now", "n", "inner").select("node", "component")
