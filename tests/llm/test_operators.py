@@ -181,6 +181,27 @@ def test_hub_with_more_near_copies_than_the_windows_reach(spark):
     assert {(g.doc_id, g.component_id, g.kept) for g in got} == {(i, 0, i == 0) for i in texts}
 
 
+def test_a_large_run_of_unlinked_rows_makes_no_row_for_each_pair(spark, monkeypatch):
+    r, texts = random.Random(8), {}
+    hub = [f"w{i}" for i in range(400)]
+    for i in range(400):
+        w = list(hub)
+        for k in r.sample(range(1, 79), 11):
+            w[5 * k] = f"own{i}x{k}"
+        texts[i] = " ".join(w)
+    counts, confirm = [], minhash_forest.confirm_tiles
+    monkeypatch.setattr(minhash_forest, "confirm_tiles", lambda rows, docs: counts.append(rows.count()) or confirm(rows, docs))
+    got = minhash_forest.classes(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).collect()
+    sets = {i: {tuple(w[k : k + 5]) for k in range(len(w) - 4)} for i, w in ((i, t.split()) for i, t in texts.items())}
+    at = {i: i for i in sets}
+    for i in sets:
+        for j in range(i):
+            if at[i] != at[j] and 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j]):
+                at = {k: min(at[i], at[j]) if x in (at[i], at[j]) else x for k, x in at.items()}
+    assert {g.doc_id: g.component_id for g in got} == at
+    assert counts and counts[0] <= 400 * minhash_forest.ORDERS
+
+
 def test_license_scan(docs):
     got = by_id(license_scan.scan(docs))
     for i, text in TEXTS.items():
