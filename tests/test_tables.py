@@ -6,7 +6,7 @@ from test_entry import tables, test_query_equals_sql as equals_sql  # noqa: F401
 
 from walkengine.operators import registry
 
-NAMES = ["reduced_automata", "measure_pattern_sizes", "eps_parallel", "baseline_brute_force_demo", "graph_demo_edges"]
+NAMES = ["sql_pattern_transitions", "reduced_automata", "measure_pattern_sizes", "eps_parallel", "baseline_brute_force_demo", "graph_demo_edges"]
 
 
 @pytest.mark.parametrize("name", NAMES)
