@@ -202,3 +202,10 @@ def test_plans_patterns_runs_tokens_and_lazy_closure(spark, demo):
     for pattern, s, t in (("(a|b)* a (b|())", "s", "t"), ("a? (b a)*", "t", "t"), ("(a b)+", "s", "s")):
         found = [sorted(r.edge_path for r in minimal_walks(two, pattern, s, t, eps=e).collect()) for e in ("eager", "lazy")]
         assert found[0] == found[1] != []
+
+
+def test_cross_section_takes_only_edges_of_answers_into_its_task(spark, monkeypatch):
+    edges = [("a", "s", "m", ["x"]), ("b", "s", "m", ["x"]), ("c", "m", "t", ["x"]), *((f"n{i:03}", "s", f"v{i}", ["x"]) for i in range(200)), *((f"o{i:03}", "m", f"v{i}", ["x"]) for i in range(200))]
+    found = base.cross_section(graph(spark, edges), "x x", "s", "t").orderBy("rank").collect()
+    assert [(r.rank, r.edge_path) for r in found] == [(0, "a>c"), (1, "b>c")]
+    assert max(r.steps for r in found) <= 3 * 2 * 3  # edges, moves and levels: 400 useless edges are never looked at
