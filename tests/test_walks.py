@@ -209,3 +209,15 @@ def test_cross_section_takes_only_edges_of_answers_into_its_task(spark, monkeypa
     found = base.cross_section(graph(spark, edges), "x x", "s", "t").orderBy("rank").collect()
     assert [(r.rank, r.edge_path) for r in found] == [(0, "a>c"), (1, "b>c")]
     assert max(r.steps for r in found) <= 3 * 2 * 3  # edges, moves and levels: 400 useless edges are never looked at
+
+
+def test_recursive_baseline_goes_beyond_spark_s_limit_of_rows(spark):
+    edges = [("a", "s", "m", ["x"]), ("c", "m", "t", ["x"]), *((f"n{i:03}", "s", f"v{i}", ["x"]) for i in range(60)), *((f"o{i:03}", f"v{i}", f"w{i}", ["x"]) for i in range(60))]
+    before = spark.conf.get("spark.sql.cteRecursionRowLimit")
+    spark.conf.set("spark.sql.cteRecursionRowLimit", "50")
+    try:
+        found = base.recursive_sql(graph(spark, edges), Nfa.of(1, [(0, "x", 0)], [0], [0]), "s", "t", 2).collect()
+        assert spark.conf.get("spark.sql.cteRecursionRowLimit") == "50"
+    finally:
+        spark.conf.set("spark.sql.cteRecursionRowLimit", before)
+    assert [(r.length, r.edge_path) for r in found] == [(2, "a>c")]
