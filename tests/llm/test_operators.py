@@ -482,3 +482,15 @@ def test_classifier_against_a_plain_version(spark, loose_ids):
 def test_isotonic():
     x, y = quality_classifier.isotonic(np.arange(6.0), np.array([0, 1, 0, 1, 1, 0.5]), np.ones(6))
     assert (np.diff(y) >= 0).all() and len(x) == len(y)
+
+
+def test_suffix_buckets_grow_in_number_and_not_in_size(spark, monkeypatch):
+    r = random.Random(4)
+    passage = [" ".join(f"w{r.randrange(9999)}" for _ in range(60)) for _ in range(40)]
+    docs = spark.createDataFrame([(i, f"{i} " + passage[i % 40] + f" {i}") for i in range(160)], "doc_id long, text string").repartition(4)
+    whole = {x.doc_id: tuple(x) for x in suffix_dedup.digests(docs).collect()}
+    numbers, ranged = [], type(docs).repartitionByRange
+    monkeypatch.setattr(type(docs), "repartitionByRange", lambda df, n, *cols: numbers.append(n) or ranged(df, n, *cols))
+    monkeypatch.setattr(suffix_dedup, "BUCKET", 2048)
+    assert {x.doc_id: tuple(x) for x in suffix_dedup.digests(docs).collect()} == whole
+    assert max(numbers) > 8 and sum(x[2] > 0 for x in whole.values()) == 120
